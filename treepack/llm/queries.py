@@ -6,13 +6,18 @@ from pyspark.sql import DataFrame, SparkSession
 
 from treepack.llm.common import table
 from treepack.llm.exact_dedup import exact_dedup
+from treepack.llm.simhash import simhash_dedup
 
 
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {"op6_exact_dedup": op6_exact_dedup}
+def op4_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash_dedup(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {"op4_simhash_near_dedup": op4_simhash_near_dedup, "op6_exact_dedup": op6_exact_dedup}
 
 ORACLE_SQL = {
     "op6_exact_dedup": r"""
