@@ -52,11 +52,21 @@ def _clean(spark: SparkSession) -> None:
 
 
 def map_rows(df: DataFrame, row: Callable[..., tuple], schema: str, *, start: Callable | None = None, step: int = 512) -> DataFrame:
-    """One output tuple for each input row, by Arrow batches cut to `step` rows so that memory stays bounded.
+    """One output tuple for each input row.
 
     row(*values) gets the columns of df (binary for strings, None for null).
     start() makes a worker's state, passed as the first argument of row.
     """
+
+    def many(*args):
+        *state, rows = args
+        return [row(*state, *r) for r in rows]
+
+    return map_groups(df, many, schema, start=start, step=step)
+
+
+def map_groups(df: DataFrame, many: Callable[..., list[tuple]], schema: str, *, start: Callable | None = None, step: int = 512, nbytes: int = 4 << 20) -> DataFrame:
+    """many([state,] rows) -> output tuples, over groups of at most `step` rows and about `nbytes` bytes, so that memory stays bounded."""
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import StructType
 
@@ -65,14 +75,26 @@ def map_rows(df: DataFrame, row: Callable[..., tuple], schema: str, *, start: Ca
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         arrow, state = to_arrow_schema(out), (start(),) if start else ()
         for batch in batches:
-            for at in range(0, batch.num_rows, step):
-                part = [values(c) for c in batch.slice(at, step).columns]
-                rows = [row(*state, *r) for r in zip(*part, strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), arrow, strict=True)], schema=arrow)
+            for rows in groups(batch, step, nbytes):
+                if got := many(*state, rows):
+                    yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*got, strict=True), arrow, strict=True)], schema=arrow)
 
     return df.mapInArrow(run, out)
 
 
+def groups(batch: pa.RecordBatch, step: int, nbytes: int) -> Iterator[list[tuple]]:
+    for at in range(0, batch.num_rows, step):
+        rows, size = [], 0
+        for r in zip(*map(values, batch.slice(at, step).columns), strict=True):
+            rows.append(r)
+            size += sum(len(v) for v in r if isinstance(v, bytes))
+            if size >= nbytes:
+                yield rows
+                rows, size = [], 0
+        if rows:
+            yield rows
+
+
 def values(col: pa.Array) -> list:
     """Python values of an Arrow column; strings as their UTF-8 bytes."""
     if pa.types.is_string(col.type):

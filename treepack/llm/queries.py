@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
+from treepack.llm.byte_bpe import byte_bpe_digest
 from treepack.llm.common import table
 from treepack.llm.exact_dedup import exact_dedup
+from treepack.llm.packing import pack_documents
 from treepack.llm.simhash import simhash_dedup
 
 
@@ -17,7 +20,15 @@ def op4_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_dedup(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {"op4_simhash_near_dedup": op4_simhash_near_dedup, "op6_exact_dedup": op6_exact_dedup}
+def op2_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return byte_bpe_digest(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
+
+
+def op1_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack_documents(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
+
+
+QUERIES = {"op1_best_fit_packing": op1_best_fit_packing, "op2_byte_bpe": op2_byte_bpe, "op4_simhash_near_dedup": op4_simhash_near_dedup, "op6_exact_dedup": op6_exact_dedup}
 
 ORACLE_SQL = {
     "op6_exact_dedup": r"""
