@@ -10,6 +10,7 @@ from treepack.llm.common import table
 from treepack.llm.exact_dedup import exact_dedup
 from treepack.llm.packing import pack_documents
 from treepack.llm.simhash import simhash_dedup
+from treepack.llm.suffix_dedup import suffix_dedup
 
 
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -28,7 +29,11 @@ def op1_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
 
-QUERIES = {"op1_best_fit_packing": op1_best_fit_packing, "op2_byte_bpe": op2_byte_bpe, "op4_simhash_near_dedup": op4_simhash_near_dedup, "op6_exact_dedup": op6_exact_dedup}
+def op3_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {"op3_suffix_array_dedup": op3_suffix_array_dedup, "op1_best_fit_packing": op1_best_fit_packing, "op2_byte_bpe": op2_byte_bpe, "op4_simhash_near_dedup": op4_simhash_near_dedup, "op6_exact_dedup": op6_exact_dedup}
 
 ORACLE_SQL = {
     "op6_exact_dedup": r"""
