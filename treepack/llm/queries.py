@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from treepack.llm import byte_cnn
 from treepack.llm.byte_bpe import byte_bpe_digest
 from treepack.llm.common import table
 from treepack.llm.exact_dedup import exact_dedup
@@ -33,7 +35,14 @@ def op3_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {"op3_suffix_array_dedup": op3_suffix_array_dedup, "op1_best_fit_packing": op1_best_fit_packing, "op2_byte_bpe": op2_byte_bpe, "op4_simhash_near_dedup": op4_simhash_near_dedup, "op6_exact_dedup": op6_exact_dedup}
+def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    held = F.coalesce(byte_cnn.fold("doc_id", 3) == 1, F.lit(False))
+    net = byte_cnn.train(docs.where(~held))
+    return byte_cnn.language_id(docs, net).withColumn("held_out", held)
+
+
+QUERIES = {"op5_language_id": op5_language_id, "op3_suffix_array_dedup": op3_suffix_array_dedup, "op1_best_fit_packing": op1_best_fit_packing, "op2_byte_bpe": op2_byte_bpe, "op4_simhash_near_dedup": op4_simhash_near_dedup, "op6_exact_dedup": op6_exact_dedup}
 
 ORACLE_SQL = {
     "op6_exact_dedup": r"""
