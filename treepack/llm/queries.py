@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from treepack.llm import byte_cnn
+from treepack.llm import byte_cnn, pu_quality
 from treepack.llm.byte_bpe import byte_bpe_digest
 from treepack.llm.common import table
 from treepack.llm.exact_dedup import exact_dedup
@@ -42,7 +42,14 @@ def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return byte_cnn.language_id(docs, net).withColumn("held_out", held)
 
 
-QUERIES = {"op5_language_id": op5_language_id, "op3_suffix_array_dedup": op3_suffix_array_dedup, "op1_best_fit_packing": op1_best_fit_packing, "op2_byte_bpe": op2_byte_bpe, "op4_simhash_near_dedup": op4_simhash_near_dedup, "op6_exact_dedup": op6_exact_dedup}
+def op7_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
+    held = F.coalesce(byte_cnn.fold("doc_id", 5) == 0, F.lit(False))
+    net = pu_quality.train(docs.where(~held), labels.where(~held))
+    return pu_quality.quality_scores(docs, net).withColumn("held_out", held)
+
+
+QUERIES = {"op7_quality_classifier": op7_quality_classifier, "op5_language_id": op5_language_id, "op3_suffix_array_dedup": op3_suffix_array_dedup, "op1_best_fit_packing": op1_best_fit_packing, "op2_byte_bpe": op2_byte_bpe, "op4_simhash_near_dedup": op4_simhash_near_dedup, "op6_exact_dedup": op6_exact_dedup}
 
 ORACLE_SQL = {
     "op6_exact_dedup": r"""
