@@ -13,6 +13,7 @@ from treepack.llm.exact_dedup import exact_dedup
 from treepack.llm.html_text import extract_text
 from treepack.llm.matroska import from_media, to_media
 from treepack.llm.packing import pack_documents
+from treepack.llm.pii import personal_data
 from treepack.llm.simhash import simhash_dedup
 from treepack.llm.suffix_dedup import suffix_dedup
 
@@ -59,7 +60,11 @@ def op9_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return from_media(to_media(table(spark, sf_dir, "documents")))
 
 
-QUERIES = {"op8_html_extraction": op8_html_extraction, "op9_media_columns": op9_media_columns, "op7_quality_classifier": op7_quality_classifier, "op5_language_id": op5_language_id, "op3_suffix_array_dedup": op3_suffix_array_dedup, "op1_best_fit_packing": op1_best_fit_packing, "op2_byte_bpe": op2_byte_bpe, "op4_simhash_near_dedup": op4_simhash_near_dedup, "op6_exact_dedup": op6_exact_dedup}
+def op10_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return personal_data(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {"op10_personal_data": op10_personal_data, "op8_html_extraction": op8_html_extraction, "op9_media_columns": op9_media_columns, "op7_quality_classifier": op7_quality_classifier, "op5_language_id": op5_language_id, "op3_suffix_array_dedup": op3_suffix_array_dedup, "op1_best_fit_packing": op1_best_fit_packing, "op2_byte_bpe": op2_byte_bpe, "op4_simhash_near_dedup": op4_simhash_near_dedup, "op6_exact_dedup": op6_exact_dedup}
 
 ORACLE_SQL = {
     "op6_exact_dedup": r"""
