@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treepack.llm.common import is_small, map_groups, stage
+from treepack.llm.common import map_groups, stage
 
 GRAM = 32
 SLICE = 16
@@ -145,17 +145,18 @@ def _runs(docs: DataFrame, threshold: int) -> DataFrame:
 _RUN = ("doc", "th", "lo", "n")
 
 
-def repeated_runs(docs: DataFrame, threshold: int = 400, broadcast_rows: int = 500_000) -> DataFrame:
+def repeated_runs(docs: DataFrame, threshold: int = 400) -> DataFrame:
     """(doc, th, lo, n): runs of n starts from lo whose windows of `threshold` bytes all start elsewhere too."""
     runs = stage(_runs(docs, threshold), "suffix-runs")
     anchors = runs.groupBy("kh").agg(F.count("*").alias("c"), F.min("ch").alias("x"), F.max("ch").alias("y")).where("c > 1").select("kh", (F.col("x") != F.col("y")).alias("split"))
+    anchors = stage(anchors, "suffix-anchors")  # apart, so that the join below may split a hot anchor
     alive = stage(runs.join(anchors, "kh"), "suffix-alive")
     same = alive.where("not split").select(*_RUN)
     # pass 1: kinds of runs of one anchor; one stands for all equal ones, with their number
     kinds = alive.where("split").groupBy("kh", "ch").agg(F.count("*").alias("w"), F.min(F.struct("doc", "th", "lo", "n", "off")).alias("one"))
     kinds = stage(kinds.select("kh", "ch", "w", "one.*"), "suffix-kinds")
     whole = alive.where("split").join(kinds.where("w > 1").select("kh", "ch"), ["kh", "ch"]).select(*_RUN)
-    context = stage(_contexts(docs, kinds, threshold, broadcast_rows), "suffix-contexts")
+    context = stage(_contexts(docs, kinds, threshold), "suffix-contexts")
     # pass 2: slices
     out = [same, whole]
     cut = lambda rows, width, name: stage(_cut(rows, width, threshold), name)
@@ -175,10 +176,10 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return out
 
 
-def _contexts(docs: DataFrame, kinds: DataFrame, threshold: int, broadcast_rows: int) -> DataFrame:
+def _contexts(docs: DataFrame, kinds: DataFrame, threshold: int) -> DataFrame:
     """The bytes of each kind of run, from the text of the row that stands for it."""
     wanted = kinds.groupBy("doc", "th").agg(F.collect_list(F.struct("kh", "ch", "w", "lo", "n", "off")).alias("runs"))
-    joined = _keyed(docs).join(F.broadcast(wanted) if is_small(kinds, broadcast_rows) else wanted.hint("shuffle_hash"), ["doc", "th"]).select("doc", "th", "text", "runs")
+    joined = _keyed(docs).join(wanted.hint("shuffle_hash"), ["doc", "th"]).select("doc", "th", "text", "runs")
 
     def many(rows):
         out = []
@@ -239,7 +240,7 @@ def kept_text(text: bytes, runs: list[tuple[int, int]], threshold: int) -> tuple
     return b"".join(kept), sum(b - a for a, b in spans), len(spans)
 
 
-def suffix_dedup(docs: DataFrame, *, threshold: int = 400, broadcast_rows: int = 500_000, with_text: bool = False) -> DataFrame:
+def suffix_dedup(docs: DataFrame, *, threshold: int = 400, with_text: bool = False) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept_sha256[, kept binary]) for each row.
 
     Removed is each byte covered by a window of `threshold` bytes that starts
@@ -248,10 +249,9 @@ def suffix_dedup(docs: DataFrame, *, threshold: int = 400, broadcast_rows: int =
     are copies of each other. An empty table gives an empty result.
     """
     docs = docs.select(F.col("doc_id").cast("long"), "text")
-    runs = stage(repeated_runs(docs, threshold, broadcast_rows), "suffix-found")
+    runs = stage(repeated_runs(docs, threshold), "suffix-found")
     of_doc = runs.groupBy("doc", "th").agg(F.collect_set(F.struct("lo", "n")).alias("runs"))
-    small = is_small(runs, broadcast_rows)
-    joined = _keyed(docs).join(F.broadcast(of_doc) if small else of_doc.hint("shuffle_hash"), ["doc", "th"], "left").select("doc_id", "text", "runs")
+    joined = _keyed(docs).join(of_doc.hint("shuffle_hash"), ["doc", "th"], "left").select("doc_id", "text", "runs")
 
     def many(rows):
         out = []
