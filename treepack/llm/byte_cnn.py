@@ -100,6 +100,10 @@ class ByteCNN:
         return self
 
 
+def has_letter(text: bytes) -> bool:
+    return _LETTER.search(text.decode()) is not None
+
+
 def windows(text: bytes) -> np.ndarray:
     """The whole text as rows of LENGTH bytes, the last one padded with zero bytes."""
     n = max(1, -(-len(text) // LENGTH))
@@ -108,7 +112,7 @@ def windows(text: bytes) -> np.ndarray:
 
 def predict_texts(net: ByteCNN, texts: list[bytes | None], batch: int = 512) -> list[tuple[str, float]]:
     """(language, probability) of each text; `und` with score 0 for a null text or one without a letter."""
-    real = [t is not None and _LETTER.search(t.decode()) is not None for t in texts]
+    real = [t is not None and has_letter(t) for t in texts]
     used = [t for t, r in zip(texts, real, strict=True) if r]
     if not used:
         return [("und", 0.0)] * len(texts)
