@@ -42,7 +42,7 @@ def normalise(weights: np.ndarray, log: int = TABLE_LOG, everything: bool = True
         if gap > 0:
             out[np.argmax(np.where(used, share * np.log2((out + 1) / np.maximum(out, 1)), -1))] += 1
         else:
-            out[np.argmin(np.where(out > 1, share * np.log2(out / np.maximum(out - 1, 1)), np.inf))] -= 1
+            out[np.argmin(np.where(out > 1, share * np.log2(np.maximum(out, 1) / np.maximum(out - 1, 1)), np.inf))] -= 1
     return out
 
 

@@ -161,15 +161,22 @@ def decode_table(payloads: list[bytes], sizes: list[int], lengths: bytes, log: i
 
 def encode_tans(raws: list[bytes], lengths: bytes = b"", cursors: int = 2, log: int = fsm.TABLE_LOG) -> list[bytes]:
     """Each value with a table of its own, made from its bytes: 4-byte size, used symbols, frequencies, stream. Raw if not smaller."""
-    out = []
+    freqs, heads = [], []
     for raw in raws:
-        a = np.frombuffer(raw, np.uint8)
-        body = b""
-        if len(a):
-            f = fsm.normalise(np.bincount(a, minlength=256), log, everything=False)
-            used = np.flatnonzero(f)
-            body = bytes([len(used) - 1]) + used.astype(np.uint8).tobytes() + (f[used] - 1).astype("<u2").tobytes()
-            body += fsm.encode(a, np.array([len(a)]), np.array([0]), fsm.build([f], log), cursors)[0] if len(used) > 1 else b""
+        f = fsm.normalise(np.bincount(np.frombuffer(raw, np.uint8), minlength=256), log, everything=False) if raw else np.zeros(256, np.int64)
+        used = np.flatnonzero(f)
+        freqs.append(f)
+        heads.append(bytes([len(used) - 1]) + used.astype(np.uint8).tobytes() + (f[used] - 1).astype("<u2").tobytes() if raw else b"")
+    streams = [b""] * len(raws)
+    many = [k for k, f in enumerate(freqs) if np.count_nonzero(f) > 1]
+    for at in range(0, len(many), 64):  # tables take room
+        part = many[at : at + 64]
+        data, sizes = np.frombuffer(b"".join(raws[k] for k in part), np.uint8), np.array([len(raws[k]) for k in part])
+        for k, s in zip(part, fsm.encode(data, sizes, np.arange(len(part)), fsm.build([freqs[k] for k in part], log), cursors), strict=True):
+            streams[k] = s
+    out = []
+    for raw, head, stream in zip(raws, heads, streams, strict=True):
+        body = head + stream
         out.append((len(raw) | RAW).to_bytes(4, "little") + raw if len(body) >= len(raw) else len(body).to_bytes(4, "little") + body)
     return out
 

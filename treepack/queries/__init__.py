@@ -1,5 +1,5 @@
 """Queries by area; importing this package registers them all."""
 
-from treepack.queries import codebook, codec
+from treepack.queries import ans, baselines, cascade, codebook, codec, measures
 
-ALL = (codebook, codec)
+ALL = (ans, baselines, cascade, codebook, codec, measures)
