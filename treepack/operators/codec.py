@@ -65,15 +65,15 @@ def encode_batch(raws: list[bytes], lengths: bytes, shape: str = "flat_opt", gat
         if node.leaf or not len(syms):
             return
         if node.flat:
-            sections.append(kernels.pack_codes(index[node.prefix][syms], node.d, count))
+            sections.append(kernels.pack_codes(index[node.prefix].take(syms), node.d, count))
             return
-        bits = side[node.prefix][syms]
+        bits = side[node.prefix].take(syms)
         right = block_sums(bits, count)
         sections.extend(_inner_sections(node, bits, count, right, gates, chosen, markers))
         if not node.left.leaf:
-            go(node.left, syms[~bits], count - right)
+            go(node.left, syms[np.flatnonzero(bits == 0)], count - right)
         if not node.right.leaf:
-            go(node.right, syms[bits], right)
+            go(node.right, syms[np.flatnonzero(bits)], right)
 
     go(root, data, n)
     body = sum((size for _, size in sections), np.zeros(len(raws), np.int64))
@@ -336,7 +336,7 @@ def decode_topdown(root: Node, nodes: dict, n: np.ndarray, lengths: bytes, prefi
             kernels.scatter_two(out, np.arange(total) if idx is None else idx, bits, node.left.symbols[0], node.right.symbols[0])
         elif node.left.prefix == free or node.right.prefix == free:
             side = node.left.prefix == free
-            part = np.flatnonzero(bits if side else ~bits) if idx is None else kernels.partition_half(bits, idx, side)
+            part = np.flatnonzero(bits if side else bits == 0) if idx is None else kernels.partition_half(bits, idx, side)
             down(node.right if side else node.left, part)
         else:
             left, right = kernels.partition_root(bits) if idx is None else kernels.partition(bits, idx, impl)
