@@ -72,7 +72,7 @@ def anchor_runs(texts: list[bytes], threshold: int) -> list[tuple[int, int, int,
     block: list[tuple[int, int, bytes]] = []
     size = 0
     for k, t in enumerate(texts):
-        for at in range(0, max(len(t) - threshold + 1, 0), SEGMENT - threshold):
+        for at in range(0, max(len(t) - threshold + 1, 0), SEGMENT - threshold + 1):
             part = t[at : at + SEGMENT] if len(t) > SEGMENT else t
             if size + len(part) > SEGMENT:
                 out += _segment_runs(block, threshold)
