@@ -148,18 +148,24 @@ def links(fps: DataFrame, *, radius: int = 4, hot: int = 1 << 14) -> DataFrame:
     width = max(w for _, w in cut)
     keys = [f"{k}L << {2 * width} | {bits(p)} << {width} | {bits(q)}" for k, (p, q) in enumerate(combinations(cut, 2))]
     rows = fps.select("fp", F.expr("bit_count(fp)").alias("pc"), F.explode(F.expr(f"array({', '.join(keys)})")).alias("bucket"))
+    rows = rows.select("fp", "pc", "bucket")
+    return _compared(rows, ["fp"], lambda it: _bucket_links(it, radius), hot)
+
+
+def _compared(rows: DataFrame, columns: list[str], compare, hot: int) -> DataFrame:
+    """Links of all buckets of rows(bucket, pc, columns..)."""
     heavy = stage(rows.groupBy("bucket").agg(F.count("*").alias("n")).where(F.col("n") > hot), "simhash-hot")
-    compare = lambda r: r.sortWithinPartitions("bucket", "pc").select("bucket", "fp").mapInArrow(lambda it: _bucket_links(it, radius), "a long, b long")
+    linked = lambda r: r.sortWithinPartitions("bucket", "pc").select("bucket", *columns).mapInArrow(compare, "a long, b long")
     if heavy.isEmpty():
-        return compare(rows.repartition("bucket"))
+        return linked(rows.repartition("bucket"))
     known = maybe_broadcast(heavy, 1_000_000)
-    plain = compare(rows.join(known, "bucket", "left_anti").repartition("bucket"))
-    # parts of hot buckets: (population count, hash) cells of bounded size; pairs of cells near in count
+    plain = linked(rows.join(known, "bucket", "left_anti").repartition("bucket"))
+    # hot buckets: cells of bounded size by a hash, each pair of cells a bucket of its own
     part = rows.join(known, "bucket").withColumn("cells", F.ceil(F.col("n") / hot).cast("int"))
-    part = part.withColumn("cell", F.expr("cast(pmod(xxhash64(fp), cells) as int)"))
+    part = part.withColumn("cell", F.pmod(F.xxhash64(*columns), F.col("cells")).cast("int"))
     first = part.withColumn("other", F.explode(F.expr("sequence(0, cells - 1)")))
-    pair = first.select(F.xxhash64("bucket", F.least("cell", "other"), F.greatest("cell", "other")).alias("bucket"), "pc", "fp")
-    return plain.union(compare(pair.repartition("bucket")))
+    pair = first.select(F.xxhash64("bucket", F.least("cell", "other"), F.greatest("cell", "other")).alias("bucket"), "pc", *columns)
+    return plain.union(linked(pair.repartition("bucket")))
 
 
 def simhash_dedup(docs: DataFrame, *, shingle: int = 4, radius: int = 4) -> DataFrame:
@@ -177,3 +183,83 @@ def simhash_dedup(docs: DataFrame, *, shingle: int = 4, radius: int = 4) -> Data
     least = named.groupBy("root").agg(F.min("first").alias("component_id"))
     of_fp = named.join(least, "root").select("fp", "component_id")
     return fps.join(of_fp, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+# --- by similarity ---------------------------------------------------------------------
+
+WORDS = 4
+
+
+def wide_fingerprint(h: np.ndarray) -> list[int]:
+    """WORDS independent 64-bit fingerprints of a set of shingle hashes, by mixing each hash anew."""
+    h, out = np.unique(h), []
+    for k in range(WORDS):
+        x = (h + np.uint64((0x9E3779B97F4A7C15 * (k + 1)) & (2**64 - 1))) * np.uint64(0xBF58476D1CE4E5B9)
+        x = (x ^ (x >> np.uint64(29))) * np.uint64(0x94D049BB133111EB)
+        v = majority_bits(x ^ (x >> np.uint64(32)))
+        out.append(v - (1 << 64) if v >> 63 else v)
+    return out
+
+
+def differing_share(similarity: float) -> float:
+    """Expected share of differing bits of two sets with this Jaccard similarity and equal sizes."""
+    return float(np.arccos(2 * similarity / (1 + similarity)) / np.pi)
+
+
+def _wide_bucket_links(batches: Iterable[pa.RecordBatch], radius: int, tile: int = 256) -> Iterator[pa.RecordBatch]:
+    """As _bucket_links, over fingerprints of several words; node names the rows."""
+    for t in whole_runs(batches, ["bucket"]):
+        bucket, node = t.column("bucket").to_numpy(), t.column("node").to_numpy()
+        fp = np.stack([t.column(f"f{k}").to_numpy().view(np.uint64) for k in range(WORDS)])
+        pc = np.bitwise_count(fp).sum(axis=0, dtype=np.int64)
+        begin = np.flatnonzero(np.concatenate(([True], bucket[1:] != bucket[:-1])))
+        forest = Forest(len(node))
+        for s, e in zip(begin.tolist(), [*begin[1:].tolist(), len(node)], strict=True):
+            for a in range(s, e if e - s > 1 else s, tile):
+                x, top = fp[:, a : min(a + tile, e)], int(pc[min(a + tile, e) - 1])
+                for b in range(a, e, tile):
+                    if int(pc[b]) - top > radius:
+                        break
+                    y = fp[:, b : min(b + tile, e)]
+                    apart = sum(np.bitwise_count(x[k][:, None] ^ y[k][None, :]).astype(np.uint16) for k in range(WORDS))
+                    i, j = np.nonzero(apart <= radius)
+                    forest.add(i + a, j + b)
+        if forest.links:
+            e = np.array(forest.links)
+            yield pa.RecordBatch.from_arrays([pa.array(node[e[:, 0]]), pa.array(node[e[:, 1]])], names=["a", "b"])
+
+
+def similar_dedup(docs: DataFrame, *, shingle: int = 5, similarity: float = 0.8, recall: float = 0.95, hot: int = 1 << 14) -> DataFrame:
+    """(doc_id, component_id): components of texts whose shingle sets are about as similar as `similarity` or more.
+
+    Fingerprints of 64 * WORDS bits tell the similarity: a link differs in no
+    more bits than two sets of that similarity are expected to. Links are looked
+    for in tables of sampled bits, as many as it takes for a pair at the limit
+    to meet with probability `recall`; the number of sampled bits follows the
+    logarithm of the number of texts, so buckets stay small at any size. In a
+    bucket all pairs of tiles near enough in population count are compared.
+    Texts without words are alike. Rows that repeat a doc_id each get a row.
+    """
+
+    def row(doc_id, text):
+        return doc_id, *wide_fingerprint(shingle_hashes(text, shingle))
+
+    words = [f"f{k}" for k in range(WORDS)]
+    fps = map_rows(docs.select(F.col("doc_id").cast("long"), "text"), row, "doc_id long, " + ", ".join(f"{w} long" for w in words))
+    fps = stage(fps.withColumn("node", F.xxhash64(*words)), "similar-fp")
+    distinct = stage(fps.groupBy("node", *words).agg(F.min("doc_id").alias("first")), "similar-distinct")
+    apart = differing_share(similarity)
+    sampled = max(12, int(np.ceil(np.log2(max(2, distinct.count())))) - 6)
+    tables = int(np.ceil(np.log(1 - recall) / np.log(1 - (1 - apart) ** sampled)))
+    rng = np.random.default_rng(sampled)
+    keys = []
+    for t in range(tables):
+        bits = rng.choice(64 * WORDS, sampled, replace=False).tolist()
+        keys.append(" | ".join([f"{t}L << {sampled}", *(f"((shiftrightunsigned(f{b // 64}, {b % 64}) & 1L) << {k})" for k, b in enumerate(bits))]))
+    pc = " + ".join(f"bit_count({w})" for w in words)
+    rows = distinct.select("node", *words, F.expr(pc).alias("pc"), F.explode(F.expr(f"array({', '.join(keys)})")).alias("bucket"))
+    radius = int(64 * WORDS * apart)
+    comp = connected_components(_compared(rows, ["node", *words], lambda it: _wide_bucket_links(it, radius), hot), "similar-cc")
+    named = distinct.select("node", "first").join(comp, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    least = named.groupBy("root").agg(F.min("first").alias("component_id"))
+    return fps.select("doc_id", "node").join(named.join(least, "root").select("node", "component_id"), "node").select("doc_id", "component_id")
