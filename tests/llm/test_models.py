@@ -237,7 +237,7 @@ def test_stages_take_effect_and_keep_columns(spark):
     one = stages.keep_one_of_equal(known)
     assert ids(one) == [2, 3, 4, 7, 7] and one.columns == docs.columns  # the longer original stays
     similar = stages.keep_one_of_similar(one)
-    assert ids(similar)[:2] == [2, 4] and similar.columns == docs.columns
+    assert ids(similar) == [2, 4, 7, 7] and similar.columns == docs.columns
     masked = stages.mask_personal_data(similar)
     assert masked.count() == similar.count() and masked.where("text like '%a@b.com%'").count() == 0
     for f in (stages.keep_known_languages, stages.keep_one_of_equal, stages.keep_one_of_similar, stages.mask_personal_data):

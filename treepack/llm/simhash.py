@@ -230,7 +230,7 @@ def _wide_bucket_links(batches: Iterable[pa.RecordBatch], radius: int, tile: int
 
 
 def similar_dedup(docs: DataFrame, *, shingle: int = 5, similarity: float = 0.8, recall: float = 0.95, hot: int = 1 << 14) -> DataFrame:
-    """(doc_id, component_id): components of texts whose shingle sets are about as similar as `similarity` or more.
+    """(doc_id, text_key, component_id, kept): components of texts whose shingle sets are about as similar as `similarity` or more.
 
     Fingerprints of 64 * WORDS bits tell the similarity: a link differs in no
     more bits than two sets of that similarity are expected to. Links are looked
@@ -238,16 +238,18 @@ def similar_dedup(docs: DataFrame, *, shingle: int = 5, similarity: float = 0.8,
     to meet with probability `recall`; the number of sampled bits follows the
     logarithm of the number of texts, so buckets stay small at any size. In a
     bucket all pairs of tiles near enough in population count are compared.
-    Texts without words are alike. Rows that repeat a doc_id each get a row.
+    Texts without words are alike. component_id is the least doc_id; kept marks
+    the rows with that id and, of such, the least text_key (Spark's xxhash64 of
+    the text), so rows that repeat an id with different texts are told apart.
     """
 
-    def row(doc_id, text):
-        return doc_id, *wide_fingerprint(shingle_hashes(text, shingle))
+    def row(doc_id, text_key, text):
+        return doc_id, text_key, *wide_fingerprint(shingle_hashes(text, shingle))
 
     words = [f"f{k}" for k in range(WORDS)]
-    fps = map_rows(docs.select(F.col("doc_id").cast("long"), "text"), row, "doc_id long, " + ", ".join(f"{w} long" for w in words))
+    fps = map_rows(docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_key"), "text"), row, "doc_id long, text_key long, " + ", ".join(f"{w} long" for w in words))
     fps = stage(fps.withColumn("node", F.xxhash64(*words)), "similar-fp")
-    distinct = stage(fps.groupBy("node", *words).agg(F.min("doc_id").alias("first")), "similar-distinct")
+    distinct = stage(fps.groupBy("node", *words).agg(F.min(F.struct("doc_id", "text_key")).alias("first")), "similar-distinct")
     apart = differing_share(similarity)
     sampled = max(12, int(np.ceil(np.log2(max(2, distinct.count())))) - 6)
     tables = int(np.ceil(np.log(1 - recall) / np.log(1 - (1 - apart) ** sampled)))
@@ -261,5 +263,7 @@ def similar_dedup(docs: DataFrame, *, shingle: int = 5, similarity: float = 0.8,
     radius = int(64 * WORDS * apart)
     comp = connected_components(_compared(rows, ["node", *words], lambda it: _wide_bucket_links(it, radius), hot), "similar-cc")
     named = distinct.select("node", "first").join(comp, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    least = named.groupBy("root").agg(F.min("first").alias("component_id"))
-    return fps.select("doc_id", "node").join(named.join(least, "root").select("node", "component_id"), "node").select("doc_id", "component_id")
+    least = named.groupBy("root").agg(F.min("first").alias("keep"))
+    out = fps.select("doc_id", "text_key", "node").join(named.join(least, "root").select("node", "keep"), "node")
+    kept = F.col("doc_id").eqNullSafe(F.col("keep.doc_id")) & (F.col("text_key") == F.col("keep.text_key"))
+    return out.select("doc_id", "text_key", F.col("keep.doc_id").alias("component_id"), kept.alias("kept"))
