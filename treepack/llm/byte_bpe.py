@@ -40,13 +40,14 @@ state AS (
               FROM state JOIN best ON wid = slot >> {_POS})
    SELECT step + 1, slot - (pos > hit)::BIGINT, CASE WHEN pos = hit THEN into_id ELSE tok END FROM placed WHERE pos <> hit + 1)
 )
-SELECT slot >> {_POS} AS wid, list(tok ORDER BY slot) AS ids FROM state
-JOIN (SELECT slot >> {_POS} AS w, max(step) AS last FROM state GROUP BY 1) z ON w = slot >> {_POS} AND step = last GROUP BY 1
-UNION ALL SELECT wid, [id] FROM whole
+SELECT slot >> {_POS} AS wid, string_agg(v.le, '' ORDER BY slot) AS ids, string_agg(v.h, '' ORDER BY slot) AS text FROM state
+JOIN (SELECT slot >> {_POS} AS w, max(step) AS last FROM state GROUP BY 1) z ON w = slot >> {_POS} AND step = last
+JOIN vocab v ON v.id = tok GROUP BY 1
+UNION ALL SELECT wid, v.le, v.h FROM whole JOIN vocab v USING (id)
 """
 _DECODE = """
-SELECT wid, string_agg(hex(token), '' ORDER BY pos) AS h
-FROM (SELECT wid, unnest(ids) AS id, generate_subscripts(ids, 1) AS pos FROM coded) JOIN vocab USING (id) GROUP BY wid
+SELECT wid, string_agg(v.le, '' ORDER BY pos) AS ids, string_agg(v.h, '' ORDER BY pos) AS text
+FROM (SELECT wid, unnest(ids) AS id, generate_subscripts(ids, 1) AS pos FROM coded) JOIN vocab v USING (id) GROUP BY wid
 """
 
 
@@ -64,13 +65,18 @@ class ByteBPE:
         self.ids: dict[str, bytes] = {}
         self.text: dict[bytes, bytes] = {}
         self.db = duckdb.connect(config={"threads": 1, "memory_limit": "400MB", "temp_directory": ""})
-        vocab = pa.table({"token": pa.array(list(self.ranks), pa.binary()), "id": pa.array(list(self.ranks.values()), pa.int32())})  # noqa: F841
-        self.db.execute("CREATE TABLE vocab AS SELECT * FROM vocab")
-        self.db.execute("CREATE TABLE single AS SELECT hex(token) AS h, id FROM vocab WHERE octet_length(token) = 1")
+        vocab_rows = pa.table(  # noqa: F841
+            {
+                "token": pa.array(list(self.ranks), pa.binary()), "id": pa.array(list(self.ranks.values()), pa.int32()),
+                "h": [t.hex().upper() for t in self.ranks], "le": [i.to_bytes(4, "little").hex() for i in self.ranks.values()],
+            }
+        )
+        self.db.execute("CREATE TABLE vocab AS SELECT * FROM vocab_rows")
+        self.db.execute("CREATE TABLE single AS SELECT h, id FROM vocab WHERE octet_length(token) = 1")
         self.db.execute(
             "CREATE TABLE merge AS SELECT (l.id::BIGINT << 20 | r.id) AS pair, v.id AS into_id "
-            "FROM (SELECT id, hex(token) AS h, octet_length(token) AS n FROM vocab) v, unnest(range(1, v.n)) AS u(k) "
-            "JOIN (SELECT hex(token) AS h, id FROM vocab) l ON l.h = left(v.h, 2 * u.k) JOIN (SELECT hex(token) AS h, id FROM vocab) r ON r.h = substr(v.h, 2 * u.k + 1)"
+            "FROM (SELECT id, h, octet_length(token) AS n FROM vocab) v, unnest(range(1, v.n)) AS u(k) "
+            "JOIN vocab l ON l.h = left(v.h, 2 * u.k) JOIN vocab r ON r.h = substr(v.h, 2 * u.k + 1)"
         )
 
     @classmethod
@@ -87,24 +93,25 @@ class ByteBPE:
             self.ids.clear()
             self.text.clear()
             new = sorted(words)
-        coded: dict[int, list[int]] = {}
         data = [w.encode() for w in new]
         short = [i for i, b in enumerate(data) if len(b) <= self.long_word]
         for at in range(0, len(short), self.block):
             part = short[at : at + self.block]
             words = pa.table({"wid": pa.array(part, pa.int32()), "word": pa.array([data[i] for i in part], pa.binary())})  # noqa: F841
-            coded.update(self.db.execute(_ENCODE).fetchall())
-        for i, b in enumerate(data):  # the recursion rewrites a word at each step, too much for very long ones
-            if len(b) > self.long_word:
-                coded[i] = merge_long(b, self.ranks)
-        for at in range(0, len(new), self.block):
-            part = range(at, min(at + self.block, len(new)))
-            table = pa.table({"wid": pa.array(part, pa.int32()), "ids": pa.array([coded[i] for i in part], pa.list_(pa.int32()))})
-            self.db.register("coded", table)
-            for i, h in self.db.execute(_DECODE).fetchall():
-                key = b"".join(t.to_bytes(4, "little") for t in coded[i])
-                self.ids[new[i]] = key
-                self.text[key] = bytes.fromhex(h)
+            self.db.register("words", words)
+            self._keep(new, _ENCODE)
+        # the recursion rewrites a word at each step, too much for very long ones
+        long = [i for i, b in enumerate(data) if len(b) > self.long_word]
+        if long:
+            coded = pa.table({"wid": pa.array(long, pa.int32()), "ids": pa.array([merge_long(data[i], self.ranks) for i in long], pa.list_(pa.int32()))})  # noqa: F841
+            self.db.register("coded", coded)
+            self._keep(new, _DECODE)
+
+    def _keep(self, words: list[str], sql: str) -> None:
+        for i, ids, text in self.db.execute(sql).fetchall():
+            key = bytes.fromhex(ids)
+            self.ids[words[i]] = key
+            self.text[key] = bytes.fromhex(text)
 
     def encode(self, texts: list[str]) -> list[list[bytes]]:
         """Of each text, the ids of each word as little-endian unsigned 32-bit integers. New words are learnt together."""
