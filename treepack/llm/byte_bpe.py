@@ -57,7 +57,7 @@ class ByteBPE:
     _made: dict = {}
     _lock = threading.Lock()
 
-    def __init__(self, path: str, pattern: str, keep_words: int = 600_000, long_word: int = 256, block: int = 16_384):
+    def __init__(self, path: str, pattern: str, keep_words: int = 1_000_000, long_word: int = 256, block: int = 16_384):
         with open(path, "rb") as f:
             self.ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
         self.pattern, self.keep_words, self.long_word, self.block = regex.compile(pattern), keep_words, long_word, block

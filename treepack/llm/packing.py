@@ -29,7 +29,7 @@ class WordBPE:
 
     _made: dict = {}
 
-    def __init__(self, path: str, keep_words: int = 600_000, block: int = 2000):
+    def __init__(self, path: str, keep_words: int = 1_000_000, block: int = 2000):
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
