@@ -34,6 +34,14 @@ both("fn_json_props", S, "SELECT event_id, json_extract_string(props, '$.k')::BI
 both("fn_struct", S, "SELECT n_nationkey, n_name AS a, n_regionkey * 2 AS b FROM {nation}", "SELECT s.k AS n_nationkey, s.name AS a, s.b FROM (SELECT named_struct('k', n_nationkey, 'name', n_name, 'b', n_regionkey * 2) AS s FROM {nation})")
 
 
+both("fn_array_pairs", S, "SELECT n_nationkey, [n_nationkey * 1, n_nationkey * 2] AS products, list_has_any([n_nationkey], [1, 3, 5]) AS overlap, [n_name, n_name] AS twice, [n_name, 'x'][2] AS second_, flatten([[n_nationkey], [7, 8]]) AS flat FROM {nation}", "SELECT n_nationkey, zip_with(array(n_nationkey, n_nationkey), array(1, 2), (a, b) -> a * b) AS products, arrays_overlap(array(n_nationkey), array(1, 3, 5)) AS overlap, array_repeat(n_name, 2) AS twice, element_at(array(n_name, 'x'), 2) AS second_, flatten(array(array(n_nationkey), array(7, 8))) AS flat FROM {nation}")
+both("fn_array_zip", S, "SELECT n_nationkey, n_nationkey + k AS a, 2 * k AS b FROM {nation}, range(3) r(k)", "SELECT n_nationkey, z.x AS a, cast(z.y as bigint) AS b FROM (SELECT n_nationkey, inline(arrays_zip(x, y)) AS (x, y) FROM (SELECT n_nationkey, transform(array(0L, 1L, 2L), k -> n_nationkey + k) AS x, array(0, 2, 4) AS y FROM {nation})) z")
+both("fn_map_more", S, "SELECT n_nationkey, CASE WHEN n_regionkey > 1 THEN 1 ELSE 0 END AS kept, n_nationkey + n_regionkey AS both_ FROM {nation}", "SELECT n_nationkey, size(map_filter(map_from_arrays(array('k'), array(n_regionkey)), (k, v) -> v > 1)) AS kept, element_at(map_zip_with(map('a', n_nationkey), map('a', n_regionkey), (k, x, y) -> x + y), 'a') AS both_ FROM {nation}")
+both("fn_date_more", S, "SELECT o_orderkey, (o_orderdate + INTERVAL 3 MONTH)::DATE AS later, epoch_us(make_timestamp(1700000000000000 + o_orderkey)) AS us FROM {orders}", "SELECT o_orderkey, add_months(to_date(o_orderdate), 3) AS later, unix_micros(timestamp_micros(1700000000000000 + o_orderkey)) AS us FROM {orders}")
+both("fn_string_more", S, "SELECT n_nationkey, printf('%s-%03d', n_name, n_nationkey) AS f, len(regexp_extract_all(n_name, '[AEIOU]'))::INT AS vowels FROM {nation}", "SELECT n_nationkey, format_string('%s-%03d', n_name, n_nationkey) AS f, regexp_count(n_name, '[AEIOU]') AS vowels FROM {nation}")
+both("fn_json_more", S, "SELECT r_regionkey, r_name AS name, '{\"k\":' || r_regionkey || '}' AS j, 'ARRAY<BIGINT>' AS schema_ FROM {region}", "SELECT r.r_regionkey, t.name, to_json(named_struct('k', r.r_regionkey)) AS j, schema_of_json('[1]') AS schema_ FROM {region} r LATERAL VIEW json_tuple(to_json(named_struct('name', r.r_name)), 'name') t AS name")
+
+
 @query("fn_hash", S)
 def fn_hash(spark, d):
     return load(spark, d, "documents").select("doc_id", F.xxhash64("text").alias("x"), F.hash("text").alias("h"), F.crc32("text").alias("c"))

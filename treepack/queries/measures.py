@@ -149,6 +149,12 @@ def speeds(raws: list[bytes], lengths: bytes) -> list[tuple[str, float]]:
         e = rate(f"node-bitmaps {shape} encode", lambda s=shape: codec.encode_batch(raws, lengths, s))
         rate(f"node-bitmaps {shape} bottom-up", lambda s=shape, e=e: codec.decode_batch(e, n, lengths, s))
         rate(f"node-bitmaps {shape} top-down", lambda s=shape, e=e: codec.decode_batch(e, n, lengths, s, "topdown"))
+
+    def end_to_end():
+        counts = np.bincount(np.frombuffer(b"".join(raws), np.uint8), minlength=256)
+        return codec.encode_batch(raws, cb.pack_lengths(cb.fit_lengths(counts)))
+
+    rate("node-bitmaps encode, counting and code too", end_to_end)
     e = rate("node-bitmaps-ans encode", lambda: codec.encode_batch(raws, lengths, gates=Gates()))
     rate("node-bitmaps-ans bottom-up", lambda: codec.decode_batch(e, n, lengths, gates=Gates()))
     c = rate("classic encode", lambda: baselines.encode_classic(raws, lengths))
@@ -183,6 +189,57 @@ def bench_codecs(spark, d):
     return rows.groupBy("stream_id").applyInPandas(one, "stream_id string, blocks int, what string, mb_s double")
 
 
+def _part(name: str, section: str, like: str):
+    """A named part of the codec report."""
+
+    def run(spark, d):
+        return bench_codecs(spark, d).where(F.col("what").rlike(like))
+
+    query(name, section)(run)
+
+
+_part("bench_baselines", "W1", "^classic")
+_part("bench_td_naive", "W2", "naive top-down|classic table")
+_part("bench_td_tree", "W3", "top-down")
+_part("bench_bu", "W8", "bottom-up|classic table")
+_part("bench_encode", "W9", "encode")
+_part("bench_ans", "W12", "ans|flat_opt bottom-up")
+query("bench_kernels_td", "W4")(lambda spark, d: kernel_bench(spark, d).where("kernel like 'partition%' or kernel like 'scatter%'"))
+query("bench_kernels_bu", "W7")(lambda spark, d: kernel_bench(spark, d).where("kernel like 'merge%' or kernel like 'flat%'"))
+
+
+@query("bench_td_grid", "W5 H13 M16")
+def bench_td_grid(spark, d):
+    """MB/s of top-down decoding, tree by primitive, on a few blocks in memory."""
+    raw = np.minimum(5, np.random.default_rng(0).geometric(0.8, 32_768) - 1).astype(np.uint8).tobytes()
+    raws = [raw[i : i + 8192] for i in range(0, len(raw), 8192)]
+    n, lengths, rows = [len(r) for r in raws], cb.pack_lengths(cb.fit_lengths(np.bincount(np.frombuffer(raw, np.uint8), minlength=256))), []
+    for tree in ("naive", "flat_opt"):
+        enc = codec.encode_batch(raws, lengths, tree)
+        for impl in ("loop", "branchfree", "vector"):
+            how = dict(prefill=tree != "naive", fuse=tree != "naive", impl=impl)
+            rows.append((tree, impl, round(1000 / timed(lambda e=enc, t=tree, h=how: codec.decode_batch(e, n, lengths, t, "topdown", **h), len(raw), 2), 3)))
+    return spark.createDataFrame(rows, "tree string, primitive string, mb_s double")
+
+
+@query("bench_scaling", "W14")
+def bench_scaling(spark, d):
+    """Seconds to encode and decode the same blocks in one, two, four and eight partitions: work is map-only, so it divides."""
+    from treepack.operators.blocks import decode_blocks
+    from treepack.sources.tables import staged
+
+    names = ["doc_en", "html"]
+    blocks = staged(to_blocks(build_streams(spark, d, names)))
+    books = staged(stats.codebooks(hist_of(spark, d, names)))
+    rows = []
+    for parts in (1, 2, 4, 8):
+        some = staged(blocks.repartition(parts))
+        t = time.perf_counter()
+        decode_blocks(encode_blocks(some, books)).write.format("noop").mode("overwrite").save()
+        rows.append((parts, round(time.perf_counter() - t, 3)))
+    return spark.createDataFrame(rows, "partitions int, seconds double")
+
+
 @query("bench_tans_cursors", "W15 F16")
 def bench_tans_cursors(spark, d):
     """MB/s of tabled ANS by cursors and unrolling, 2880-byte bitmaps of 80 % zeros."""
