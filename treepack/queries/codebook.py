@@ -12,7 +12,7 @@ from treepack.plans import shape as sh
 from treepack.queries import sql
 from treepack.queries.common import books_of, codes_of, digests, hist_of
 from treepack.registry import query
-from treepack.sources.streams import TEXT_STREAMS, build_stream, build_streams
+from treepack.sources.streams import TEXT_STREAMS, build_stream
 
 WORDS = {"huffman": b"huffman", "coconut-papaya": b"coconut-papaya"}
 _NUM = " UNION ALL ".join([sql.numbers("userid_le8", "events", "user_id", 8), sql.numbers("ok_le8", "lineitem", "l_orderkey", 8)])

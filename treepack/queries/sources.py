@@ -9,7 +9,7 @@ from treepack.queries.both import TABLES
 from treepack.queries.common import encoded
 from treepack.registry import query
 from treepack.sources.streams import build_stream, to_blocks
-from treepack.sources.tables import load, scratch
+from treepack.sources.tables import load, scratch, write_blocks
 
 
 @query("src_parquet", "2.17", " UNION ALL ".join(f"SELECT '{t}' AS name, count(*) AS n FROM {t}" for t in TABLES))
@@ -52,11 +52,6 @@ def src_range(spark, d):
     return spark.range(1 << 20).select(F.least(F.lit(5), F.floor(F.ln(1 - u) / F.ln(F.lit(0.2)))).cast("int").alias("sym")).groupBy("sym").agg(F.count("*").alias("cnt"))
 
 
-def write_blocks(enc, path: str, mode: str = "errorifexists") -> None:
-    """The block sink: a folder per stream, blocks in order, so that both prune."""
-    enc.sortWithinPartitions("stream_id", "block_no").write.mode(mode).partitionBy("stream_id").parquet(path)
-
-
 @query("src_blocks", "2.17", "SELECT doc_id AS value_id, 0::BIGINT AS block_no, least(strlen(text), 8192)::INT AS n FROM documents WHERE lang = 'fr' AND text IS NOT NULL")
 def src_blocks(spark, d):
     """The sink read with filters on stream and block number: a folder pruned, a filter pushed down."""

@@ -28,3 +28,8 @@ def staged(df: DataFrame) -> DataFrame:
 def small(df: DataFrame, rows: int = 100_000) -> DataFrame:
     """df marked for broadcast if it has no more than `rows` rows, else as it is."""
     return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+
+
+def write_blocks(enc: DataFrame, path: str, mode: str = "errorifexists") -> None:
+    """The block sink: a folder per stream, blocks in order, so that both prune."""
+    enc.sortWithinPartitions("stream_id", "block_no").write.mode(mode).partitionBy("stream_id").parquet(path)
