@@ -97,13 +97,13 @@ class ByteBPE:
         short = [i for i, b in enumerate(data) if len(b) <= self.long_word]
         for at in range(0, len(short), self.block):
             part = short[at : at + self.block]
-            words = pa.table({"wid": pa.array(part, pa.int32()), "word": pa.array([data[i] for i in part], pa.binary())})  # noqa: F841
+            words = pa.table({"wid": pa.array(part, pa.int32()), "word": pa.array([data[i] for i in part], pa.binary())})
             self.db.register("words", words)
             self._keep(new, _ENCODE)
         # the recursion rewrites a word at each step, too much for very long ones
         long = [i for i, b in enumerate(data) if len(b) > self.long_word]
         if long:
-            coded = pa.table({"wid": pa.array(long, pa.int32()), "ids": pa.array([merge_long(data[i], self.ranks) for i in long], pa.list_(pa.int32()))})  # noqa: F841
+            coded = pa.table({"wid": pa.array(long, pa.int32()), "ids": pa.array([merge_long(data[i], self.ranks) for i in long], pa.list_(pa.int32()))})
             self.db.register("coded", coded)
             self._keep(new, _DECODE)
 
