@@ -3,6 +3,9 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
+import ctypes
+import gc
 import uuid
 from collections.abc import Callable, Iterable, Iterator
 
@@ -71,6 +74,7 @@ def map_groups(df: DataFrame, many: Callable[..., list[tuple]], schema: str, *,
     from pyspark.sql.types import StructType
 
     out = StructType.fromDDL(schema)
+    bounded_batches(df.sparkSession)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         arrow, state = to_arrow_schema(out), (start(),) if start else ()
@@ -78,10 +82,26 @@ def map_groups(df: DataFrame, many: Callable[..., list[tuple]], schema: str, *,
             for rows in groups(batch, step, nbytes):
                 if got := many(*state, rows):
                     yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*got, strict=True), arrow, strict=True)], schema=arrow)
+        give_back()
 
     return df.mapInArrow(run, out)
 
 
+def bounded_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """Texts are long, so Arrow batches of this session hold at most `rows` rows: less for JVM buffers and workers to hold at once."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key, "10000")) <= rows:
+        spark.conf.set(key, str(rows))
+
+
+def give_back() -> None:
+    """Returns freed memory to the system: workers live on between tasks, and so would what their largest task needed."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # other C libraries have no such call
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def groups(batch: pa.RecordBatch, step: int, nbytes: int) -> Iterator[list[tuple]]:
     for at in range(0, batch.num_rows, step):
         rows, size = [], 0

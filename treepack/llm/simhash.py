@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treepack.llm.common import map_rows, maybe_broadcast, stage, whole_runs
+from treepack.llm.common import give_back, map_rows, maybe_broadcast, stage, whole_runs
 from treepack.llm.graph import connected_components
 
 SEED = 42
@@ -129,6 +129,7 @@ def _bucket_links(batches: Iterable[pa.RecordBatch], radius: int, small: int = 3
         if links:
             e = np.array(links)
             yield pa.RecordBatch.from_arrays([pa.array(fp[e[:, 0]].view(np.int64)), pa.array(fp[e[:, 1]].view(np.int64))], names=["a", "b"])
+    give_back()
 
 
 def _blocks(radius: int) -> list[tuple[int, int]]:
@@ -227,6 +228,7 @@ def _wide_bucket_links(batches: Iterable[pa.RecordBatch], radius: int, tile: int
         if forest.links:
             e = np.array(forest.links)
             yield pa.RecordBatch.from_arrays([pa.array(node[e[:, 0]]), pa.array(node[e[:, 1]])], names=["a", "b"])
+    give_back()
 
 
 def similar_dedup(docs: DataFrame, *, shingle: int = 5, similarity: float = 0.8, recall: float = 0.95, hot: int = 1 << 14) -> DataFrame:
