@@ -177,3 +177,42 @@ def test_every_window_has_one_run(monkeypatch):
 
 def test_suffix_dedup_of_nothing(spark):
     assert suffix_dedup(table(spark, [])).count() == 0
+
+
+# --- similarity --------------------------------------------------------------------------
+
+
+def around_the_limit():
+    """Groups of texts whose similarities lie on both sides of 0.8 and close to it."""
+    rnd, rows = random.Random(11), [(1, ""), (2, None), (3, "one two"), (4, "One two")]
+    for k in range(60):
+        base = [f"w{rnd.randrange(3000)}" for _ in range(rnd.choice([30, 120, 400]))]
+        for j in range(5):
+            t = list(base)
+            for _ in range(round(len(t) * j * rnd.uniform(0.004, 0.012))):
+                t[rnd.randrange(len(t))] = f"x{rnd.randrange(3000)}"
+            rows.append((100 + 10 * k + j, " ".join(t)))
+    return rows
+
+
+def brute_similar(rows):
+    sets = [set(sh.shingle_hashes((t or "").encode(), 5).tolist()) for _, t in rows]
+    up = list(range(len(rows)))
+    near = []
+    for i, a in enumerate(sets):
+        for j, b in enumerate(sets[:i]):
+            both = len(a & b)
+            if a == b or 5 * both >= 4 * (len(a) + len(b) - both):
+                x, y = up[i], up[j]
+                up = [min(x, y) if u in (x, y) else u for u in up]
+            if a | b:
+                near.append(both / (len(a) + len(b) - both))
+    return {d: min(e for (e, _), v in zip(rows, up) if v == u) for (d, _), u in zip(rows, up)}, near
+
+
+@pytest.mark.parametrize("how", [{}, {"hot": 3, "hot_sets": 3}])
+def test_similarity_is_exact_at_the_limit(spark, how):
+    rows = around_the_limit()
+    want, near = brute_similar(rows)
+    assert sum(0.8 <= x < 0.85 for x in near) > 20 and sum(0.75 <= x < 0.8 for x in near) > 20
+    assert {r.doc_id: r.component_id for r in sh.similar_dedup(table(spark, rows), **how).collect()} == want

@@ -188,82 +188,163 @@ def simhash_dedup(docs: DataFrame, *, shingle: int = 4, radius: int = 4) -> Data
 
 # --- by similarity ---------------------------------------------------------------------
 
-WORDS = 4
+ROWS = 4
+SKETCH = 64
 
 
-def wide_fingerprint(h: np.ndarray) -> list[int]:
-    """WORDS independent 64-bit fingerprints of a set of shingle hashes, by mixing each hash anew."""
-    h, out = np.unique(h), []
-    for k in range(WORDS):
-        x = (h + np.uint64((0x9E3779B97F4A7C15 * (k + 1)) & (2**64 - 1))) * np.uint64(0xBF58476D1CE4E5B9)
-        x = (x ^ (x >> np.uint64(29))) * np.uint64(0x94D049BB133111EB)
-        v = majority_bits(x ^ (x >> np.uint64(32)))
-        out.append(v - (1 << 64) if v >> 63 else v)
-    return out
+def bands_for(similarity: float, recall: float) -> int:
+    """Bands of ROWS minima that a pair of this similarity needs to share one with probability `recall`; enough for a sketch of SKETCH bytes."""
+    return max(SKETCH // ROWS, int(np.ceil(np.log(1 - recall) / np.log1p(-(similarity**ROWS)))))
 
 
-def differing_share(similarity: float) -> float:
-    """Expected share of differing bits of two sets with this Jaccard similarity and equal sizes."""
-    return float(np.arccos(2 * similarity / (1 + similarity)) / np.pi)
+def minima(h: np.ndarray, k: int) -> np.ndarray:
+    """The least value of a set of shingle hashes under each of k mixings."""
+    add = np.random.default_rng(SEED).integers(0, 2**64, k, dtype=np.uint64, endpoint=False)
+    least = np.full(k, 2**64 - 1, np.uint64)
+    for at in range(0, len(h), 2048):
+        x = (h[at : at + 2048, None] + add) * np.uint64(0xBF58476D1CE4E5B9)
+        x ^= x >> np.uint64(29)
+        x *= np.uint64(0x94D049BB133111EB)
+        x ^= x >> np.uint64(32)
+        np.minimum(least, x.min(axis=0), out=least)
+    return least
 
 
-def _wide_bucket_links(batches: Iterable[pa.RecordBatch], radius: int, tile: int = 256) -> Iterator[pa.RecordBatch]:
-    """As _bucket_links, over fingerprints of several words; node names the rows."""
+def _signed(v: int) -> int:
+    return v - (1 << 64) if v >> 63 else v
+
+
+def sketch(h: np.ndarray, bands: int) -> tuple[int, int, list[int], bytes]:
+    """(node, size, band keys, low bytes of the first minima) of sorted distinct hashes; node names the set."""
+    least = minima(h, bands * ROWS)
+    keys = [_signed(xxhash.xxh64_intdigest(row.tobytes(), k)) for k, row in enumerate(least.reshape(bands, ROWS))]
+    return _signed(xxhash.xxh64_intdigest(h.tobytes(), SEED)), len(h), keys, least[:SKETCH].astype(np.uint8).tobytes()
+
+
+def _spanning(n: int, near) -> list[tuple[int, int]]:
+    """Links that span the components of n members; near(i) tells which are linked to i.
+
+    Members inside the largest component are asked last, and no more once all
+    that are left are connected, so n close copies cost one question.
+    """
+    forest, left = Forest(n), np.arange(n)
+    while True:
+        label = forest.label[left]
+        if not len(left) or (label == label[0]).all():
+            return forest.links
+        at = int(np.flatnonzero(label != np.bincount(label).argmax())[0])
+        j = np.flatnonzero(near(int(left[at])))
+        forest.add(np.full(len(j), left[at]), j)
+        left = np.delete(left, at)
+
+
+def _runs(t: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """First rows and lengths of the runs of equal buckets."""
+    bucket = t.column("bucket").to_numpy()
+    begin = np.flatnonzero(np.concatenate(([True], bucket[1:] != bucket[:-1])))
+    return begin, np.diff(np.concatenate((begin, [len(bucket)])))
+
+
+def _fits(sizes: np.ndarray, n, similarity: float) -> np.ndarray:
+    """Whether sets of these sizes can be as similar as that to a set of size n."""
+    return np.minimum(sizes, n) >= similarity * np.maximum(sizes, n) - 1e-9
+
+
+def _edges(node: np.ndarray, links: list[tuple[int, int]]) -> Iterator[pa.RecordBatch]:
+    if links:
+        e = np.array(links)
+        yield pa.RecordBatch.from_arrays([pa.array(node[e[:, 0]]), pa.array(node[e[:, 1]])], names=["a", "b"])
+
+
+def _sketch_links(batches: Iterable[pa.RecordBatch], similarity: float, small: int = 16) -> Iterator[pa.RecordBatch]:
+    """Links of members of a bucket whose sketches leave it open that they are similar (five standard deviations)."""
+    least = int(SKETCH * similarity - 5 * np.sqrt(SKETCH * similarity * (1 - similarity)))
     for t in whole_runs(batches, ["bucket"]):
-        bucket, node = t.column("bucket").to_numpy(), t.column("node").to_numpy()
-        fp = np.stack([t.column(f"f{k}").to_numpy().view(np.uint64) for k in range(WORDS)])
-        pc = np.bitwise_count(fp).sum(axis=0, dtype=np.int64)
-        begin = np.flatnonzero(np.concatenate(([True], bucket[1:] != bucket[:-1])))
+        node, size = t.column("node").to_numpy(), t.column("size").to_numpy()
+        low = np.frombuffer(b"".join(t.column("low").to_pylist()), np.uint8).reshape(-1, SKETCH)
+        begin, length = _runs(t)
+        left = np.repeat(length, length) - (np.arange(len(node)) - np.repeat(begin, length))
+        little = np.repeat(length <= small, length)
         forest = Forest(len(node))
-        for s, e in zip(begin.tolist(), [*begin[1:].tolist(), len(node)], strict=True):
-            for a in range(s, e if e - s > 1 else s, tile):
-                x, top = fp[:, a : min(a + tile, e)], int(pc[min(a + tile, e) - 1])
-                for b in range(a, e, tile):
-                    if int(pc[b]) - top > radius:
-                        break
-                    y = fp[:, b : min(b + tile, e)]
-                    apart = sum(np.bitwise_count(x[k][:, None] ^ y[k][None, :]).astype(np.uint16) for k in range(WORDS))
-                    i, j = np.nonzero(apart <= radius)
-                    forest.add(i + a, j + b)
-        if forest.links:
-            e = np.array(forest.links)
-            yield pa.RecordBatch.from_arrays([pa.array(node[e[:, 0]]), pa.array(node[e[:, 1]])], names=["a", "b"])
+        for d in range(1, small):
+            i = np.flatnonzero(little & (left > d))
+            if not len(i):
+                break
+            near = (low[i] == low[i + d]).sum(axis=1) >= least
+            near &= _fits(size[i], size[i + d], similarity)
+            forest.add(i[near], i[near] + d)
+        links = forest.links
+        for s, n in zip(begin[length > small].tolist(), length[length > small].tolist(), strict=True):
+            x, z = low[s : s + n], size[s : s + n]
+            near = lambda i, x=x, z=z: ((x == x[i]).sum(axis=1) >= least) & _fits(z, z[i], similarity)
+            links += [(s + i, s + j) for i, j in _spanning(n, near)]
+        yield from _edges(node, links)
+    give_back()
+
+
+def _jaccard_links(batches: Iterable[pa.RecordBatch], similarity: float) -> Iterator[pa.RecordBatch]:
+    """Links of members of a bucket whose sets have that Jaccard similarity or more: common elements are counted over posting lists."""
+    for t in whole_runs(batches, ["bucket"], least=1 << 8):
+        node, sets = t.column("node").to_numpy(), t.column("hashes")
+        links = []
+        for s, n in zip(*(x.tolist() for x in _runs(t)), strict=True):
+            if n < 2:
+                continue
+            some = [np.frombuffer(v.as_py(), np.uint64) for v in sets.slice(s, n).chunk(0)]
+            size = np.array([len(v) for v in some])
+            token = np.unique(np.concatenate(some), return_inverse=True)[1].astype(np.int32)
+            where = np.cumsum(size) - size
+            order = np.argsort(token, kind="stable")
+            owner = np.repeat(np.arange(n, dtype=np.int32), size)[order]
+            first = np.searchsorted(token[order], np.arange(token.max() + 2)) if len(token) else np.zeros(1, int)
+
+            def near(i, token=token, size=size, where=where, owner=owner, first=first, n=n):
+                mine = token[where[i] : where[i] + size[i]]
+                common = np.zeros(n, np.int64)
+                for at in range(0, len(mine), 1024):
+                    a, k = first[mine[at : at + 1024]], first[mine[at : at + 1024] + 1] - first[mine[at : at + 1024]]
+                    rows = np.repeat(a - np.cumsum(k) + k, k) + np.arange(k.sum())
+                    common += np.bincount(owner[rows], minlength=n)
+                return common >= similarity * (size + size[i] - common) - 1e-9
+
+            links += [(s + i, s + j) for i, j in _spanning(n, near)]
+        yield from _edges(node, links)
     give_back()
 
 
-def similar_dedup(docs: DataFrame, *, shingle: int = 5, similarity: float = 0.8, recall: float = 0.95, hot: int = 1 << 14) -> DataFrame:
-    """(doc_id, text_key, component_id, kept): components of texts whose shingle sets are about as similar as `similarity` or more.
+def similar_dedup(docs: DataFrame, *, shingle: int = 5, similarity: float = 0.8, recall: float = 1 - 1e-6, hot: int = 1 << 14, hot_sets: int = 1 << 11) -> DataFrame:
+    """(doc_id, text_key, component_id, kept): components of texts linked by shingle sets of Jaccard similarity `similarity` or more.
 
-    Fingerprints of 64 * WORDS bits tell the similarity: a link differs in no
-    more bits than two sets of that similarity are expected to. Links are looked
-    for in tables of sampled bits, as many as it takes for a pair at the limit
-    to meet with probability `recall`; the number of sampled bits follows the
-    logarithm of the number of texts, so buckets stay small at any size. In a
-    bucket all pairs of tiles near enough in population count are compared.
+    Bands of minima find candidates: two sets at the limit share one with
+    probability `recall`, more similar ones with a higher one. Sketches that
+    rule a pair out (five standard deviations under the limit) are set aside;
+    the rest form loose components. Each loose component is then linked anew
+    from the sets themselves, so every link has its true similarity, and no pair
+    in a loose component is missed. Sets travel once for each text that has a
+    candidate; a component of over `hot_sets` texts is cut into parts, and each
+    two parts are compared in a task of their own.
     Texts without words are alike. component_id is the least doc_id; kept marks
     the rows with that id and, of such, the least text_key (Spark's xxhash64 of
     the text), so rows that repeat an id with different texts are told apart.
     """
+    bands = bands_for(similarity, recall)
 
     def row(doc_id, text_key, text):
-        return doc_id, text_key, *wide_fingerprint(shingle_hashes(text, shingle))
-
-    words = [f"f{k}" for k in range(WORDS)]
-    fps = map_rows(docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_key"), "text"), row, "doc_id long, text_key long, " + ", ".join(f"{w} long" for w in words))
-    fps = stage(fps.withColumn("node", F.xxhash64(*words)), "similar-fp")
-    distinct = stage(fps.groupBy("node", *words).agg(F.min(F.struct("doc_id", "text_key")).alias("first")), "similar-distinct")
-    apart = differing_share(similarity)
-    sampled = max(12, int(np.ceil(np.log2(max(2, distinct.count())))) - 6)
-    tables = int(np.ceil(np.log(1 - recall) / np.log(1 - (1 - apart) ** sampled)))
-    rng = np.random.default_rng(sampled)
-    keys = []
-    for t in range(tables):
-        bits = rng.choice(64 * WORDS, sampled, replace=False).tolist()
-        keys.append(" | ".join([f"{t}L << {sampled}", *(f"((shiftrightunsigned(f{b // 64}, {b % 64}) & 1L) << {k})" for k, b in enumerate(bits))]))
-    pc = " + ".join(f"bit_count({w})" for w in words)
-    rows = distinct.select("node", *words, F.expr(pc).alias("pc"), F.explode(F.expr(f"array({', '.join(keys)})")).alias("bucket"))
-    radius = int(64 * WORDS * apart)
-    comp = connected_components(_compared(rows, ["node", *words], lambda it: _wide_bucket_links(it, radius), hot), "similar-cc")
+        return doc_id, text_key, *sketch(np.unique(shingle_hashes(text, shingle)), bands)
+
+    def with_set(root, text):
+        h = np.unique(shingle_hashes(text, shingle))
+        return root, _signed(xxhash.xxh64_intdigest(h.tobytes(), SEED)), len(h), h.tobytes()
+
+    keyed = docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_key"), "text")
+    fps = stage(map_rows(keyed, row, "doc_id long, text_key long, node long, size long, bands array<long>, low binary"), "similar-fp")
+    distinct = stage(fps.groupBy("node").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.first("size").alias("size"), F.first("bands").alias("bands"), F.first("low").alias("low")), "similar-distinct")
+    rows = distinct.where("size > 0").select("node", "size", "low", F.col("size").alias("pc"), F.explode("bands").alias("bucket"))
+    loose = stage(connected_components(_compared(rows, ["node", "size", "low"], lambda it: _sketch_links(it, similarity), hot), "similar-loose"), "similar-roots")
+    wanted = distinct.join(loose, "node").select(F.col("first.text_key").alias("text_key"), "root")
+    texts = keyed.select("text_key", "text").join(maybe_broadcast(wanted, 500_000), "text_key").select("root", "text")
+    sets = stage(map_rows(texts, with_set, "bucket long, node long, pc long, hashes binary"), "similar-sets")
+    comp = connected_components(_compared(sets, ["node", "hashes"], lambda it: _jaccard_links(it, similarity), hot_sets), "similar-cc")
     named = distinct.select("node", "first").join(comp, "node", "left").withColumn("root", F.coalesce("root", "node"))
     least = named.groupBy("root").agg(F.min("first").alias("keep"))
     out = fps.select("doc_id", "text_key", "node").join(named.join(least, "root").select("node", "keep"), "node")
