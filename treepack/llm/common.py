@@ -10,6 +10,7 @@ import uuid
 from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
+from py4j.protocol import Py4JError
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -33,7 +34,7 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     """Cut lineage: write df once as a table in the shared folder and read it again.
 
     A lost executor costs a re-read, never a recomputation of what lies before.
-    The folder goes when the Python process ends.
+    The folder goes with the `scratch` block it was made in, or when the Python process ends.
     """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/treepack-{uuid.uuid4().hex}/{name}"
@@ -41,17 +42,36 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     if not _STAGED:
         atexit.register(_clean, spark)
     _STAGED.append(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.staged_at = path
+    return out
+
+
+@contextlib.contextmanager
+def scratch(spark: SparkSession) -> Iterator[Callable[[DataFrame], DataFrame]]:
+    """Tables staged in the block are deleted at its end, but for those passed to the function it gives."""
+    first, kept = len(_STAGED), set()
+
+    def keep(df: DataFrame) -> DataFrame:
+        kept.add(df.staged_at)
+        return df
+
+    yield keep
+    gone = [p for p in _STAGED[first:] if p not in kept]
+    _delete(spark, gone)
+    _STAGED[:] = [p for p in _STAGED if p not in set(gone)]
+
+
+def _delete(spark: SparkSession, paths: list[str]) -> None:
+    jvm, conf = spark._jvm, spark._jsparkSession.sessionState().newHadoopConf()
+    for path in paths:
+        p = jvm.org.apache.hadoop.fs.Path(path).getParent()
+        p.getFileSystem(conf).delete(p, True)
 
 
 def _clean(spark: SparkSession) -> None:
-    try:
-        jvm, conf = spark._jvm, spark._jsparkSession.sessionState().newHadoopConf()
-        for path in _STAGED:
-            p = jvm.org.apache.hadoop.fs.Path(path).getParent()
-            p.getFileSystem(conf).delete(p, True)
-    except Exception:  # the session has ended already; the folder's owner clears it
-        pass
+    with contextlib.suppress(Py4JError, OSError, AttributeError):  # the session has ended already; the folder's owner clears it
+        _delete(spark, _STAGED)
 
 
 def map_rows(df: DataFrame, row: Callable[..., tuple], schema: str, *, start: Callable | None = None, step: int = 512) -> DataFrame:

@@ -5,21 +5,24 @@ hash is a polynomial in its bytes modulo two primes, all chunks of a text in
 one matrix product; the hash of a joined text is `h(left) * base**len(right) +
 h(right)`, so chunk hashes may come from anywhere. Texts over `huge_bytes` are
 dealt out chunk by chunk to many tasks and their hashes joined by an ordered
-fold. Texts with equal fingerprint and length meet and are compared chunk by
-chunk; classes follow that comparison, so a collision can't merge two texts.
+fold. Texts with equal fingerprint and length meet the text of one of them,
+their leader, and are compared with it chunk by chunk; those that differ from
+it (colliding fingerprints) meet again under a leader of their own, so a
+collision can't merge two texts.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
+from itertools import count
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from treepack.llm.common import SPACE, map_rows, maybe_broadcast, stage
+from treepack.llm.common import SPACE, give_back, map_rows, maybe_broadcast, scratch, stage
 
 # Two primes below 2**31 and a base for each.
 PRIMES = (2147483647, 2147483629)
@@ -58,43 +61,54 @@ def _points(text: bytes) -> int:
     return len(text) - int(np.count_nonzero((np.frombuffer(text, np.uint8) & 0xC0) == 0x80))
 
 
-def _fingerprint_row(doc_id: int, text: bytes | None) -> tuple:
-    data = normalise(text)
-    h = chunk_hashes(data)
-    return doc_id, _points(text or b""), len(data), h[0] << 31 | h[1], hashlib.sha256(data).hexdigest()
+_KEY = ("d", "no_id", "h1", "h2")
 
 
-_FP = "doc_id long, points long, len long, fp long, text_sha256 string"
+def _keyed(docs: DataFrame) -> DataFrame:
+    """Rows named by id and two hashes of the text: rows that agree in them are copies, which may stand for one another."""
+    doc_id = F.col("doc_id").cast("long")
+    return docs.select(doc_id.alias("doc_id"), F.coalesce(doc_id, F.lit(0)).alias("d"), doc_id.isNull().alias("no_id"), F.xxhash64("text").alias("h1"), F.hash("text").alias("h2"), "text")
 
 
-def fingerprints(docs: DataFrame, huge_bytes: int = 1 << 28) -> DataFrame:
-    """(doc_id, points, len, fp, text_sha256) for each row; null text counts as empty.
+_FP = "doc_id long, d long, no_id boolean, h1 long, h2 int, points long, len long, fp long, text_sha256 string"
 
-    Texts over huge_bytes take the dealt-out way and have a null text_sha256
-    until `exact_dedup` compares them (a SHA-256 can't be composed).
-    """
-    docs = docs.select(F.col("doc_id").cast("long"), "text")
+
+def fingerprints(docs: DataFrame, huge_bytes: int = 1 << 28, hashes: Callable[[bytes], tuple[int, int]] = chunk_hashes) -> DataFrame:
+    """(doc_id, name of the row, points, len, fp, text_sha256) for each row; null text counts as empty."""
+
+    def row(doc_id, d, no_id, h1, h2, text):
+        data = normalise(text)
+        h = hashes(data)
+        return doc_id, d, no_id, h1, h2, _points(text or b""), len(data), h[0] << 31 | h[1], hashlib.sha256(data).hexdigest()
+
+    docs = _keyed(docs)
     big = F.coalesce(F.octet_length("text"), F.lit(0)) > huge_bytes
-    return map_rows(docs.where(~big), _fingerprint_row, _FP).unionByName(huge_fingerprints(docs.where(big)))
+    return map_rows(docs.where(~big), row, _FP).unionByName(huge_fingerprints(docs.where(big), hashes=hashes))
 
 
-def huge_fingerprints(docs: DataFrame, piece: int = 1 << 22) -> DataFrame:
+def huge_fingerprints(docs: DataFrame, piece: int = 1 << 22, hashes: Callable[[bytes], tuple[int, int]] = chunk_hashes) -> DataFrame:
     """The same from pieces spread over tasks: hash each, shift by the length of what follows, fold."""
-    raw = docs.select("doc_id", F.monotonically_increasing_id().alias("rid"), F.length("text").cast("long").alias("points"), F.col("text").cast("binary").alias("b"))
-    cut = raw.select("doc_id", "rid", "points", F.octet_length("b").alias("n"), "b", F.explode(F.expr(f"sequence(0, cast(octet_length(b) / {piece} as int))")).alias("k"))
-    cut = cut.select("doc_id", "rid", "points", "k", F.expr(f"substring(b, k * {piece} + 1, {piece})").alias("b")).repartition("rid", "k")
+    name = ["rid", "doc_id", *_KEY, "points", "text_sha256"]
+    raw = docs.select(
+        F.monotonically_increasing_id().alias("rid"), "doc_id", *_KEY, F.length("text").cast("long").alias("points"), F.sha2(_bare(), 256).alias("text_sha256"),
+        F.col("text").cast("binary").alias("b"),
+    )
+    cut = raw.select(*name, "b", F.explode(F.expr(f"sequence(0, cast(octet_length(b) / {piece} as int))")).alias("k"))
+    cut = cut.select(*name, "k", F.expr(f"substring(b, k * {piece} + 1, {piece})").alias("b")).repartition("rid", "k")
 
-    def hashed(doc_id, rid, points, k, b):
+    def hashed(*cells):
+        *same, k, b = cells
         data = normalise(b)
-        return doc_id, rid, points, k, len(data), *chunk_hashes(data), *(pow(r, len(data), p) for r, p in zip(BASES, PRIMES, strict=True))
-
-    part = map_rows(cut, hashed, "doc_id long, rid long, points long, k int, n long, h0 long, h1 long, s0 long, s1 long", step=4)
-    whole = part.groupBy("doc_id", "rid", "points").agg(F.array_sort(F.collect_list(F.struct("k", "n", "h0", "h1", "s0", "s1"))).alias("c"))
-    fold = lambda i: F.expr(f"aggregate(c, 0L, (a, x) -> (a * x.s{i} + x.h{i}) % {PRIMES[i]}L)")
-    return whole.select(
-        "doc_id", "points", F.expr("aggregate(c, 0L, (a, x) -> a + x.n)").alias("len"),
-        (F.shiftleft(fold(0), 31).bitwiseOR(fold(1))).alias("fp"), F.lit(None).cast("string").alias("text_sha256"),
-    )
+        return *(v.decode() if isinstance(v, bytes) else v for v in same), k, len(data), *hashes(data), *(pow(r, len(data), p) for r, p in zip(BASES, PRIMES, strict=True))
+
+    part = map_rows(cut, hashed, "rid long, doc_id long, d long, no_id boolean, h1 long, h2 int, points long, text_sha256 string, k int, n long, x0 long, x1 long, s0 long, s1 long", step=4)
+    whole = part.groupBy(*name).agg(F.array_sort(F.collect_list(F.struct("k", "n", "x0", "x1", "s0", "s1"))).alias("c"))
+    fold = lambda i: F.expr(f"aggregate(c, 0L, (a, x) -> (a * x.s{i} + x.x{i}) % {PRIMES[i]}L)")
+    return whole.select("doc_id", *_KEY, "points", F.expr("aggregate(c, 0L, (a, x) -> a + x.n)").alias("len"), F.shiftleft(fold(0), 31).bitwiseOR(fold(1)).alias("fp"), "text_sha256")
+
+
+def _bare() -> Column:
+    return F.translate(F.coalesce("text", F.lit("")), SPACE.decode(), "")
 
 
 def _same(a: bytes, b: bytes) -> bool:
@@ -103,98 +117,86 @@ def _same(a: bytes, b: bytes) -> bool:
     return len(x) == len(y) and all(x[i : i + COMPARE] == y[i : i + COMPARE] for i in range(0, len(x), COMPARE))
 
 
-def _classes(batches: Iterable[pa.RecordBatch], keep_text: bool) -> Iterator[pa.RecordBatch]:
-    """Streaming comparison of sorted runs with equal (fp, len, salt): only a run's different texts are held.
+_MEMBER = "doc_id long, points long, text_sha256 string, fp long, len long, salt long, same boolean, b binary"
+
 
-    Two texts of one run differ only if fingerprints collide, so there is one in practice.
+def _against_leader(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows sorted by (fp, len, salt), leader first: each is compared with the leader of its run, one text held at a time.
+
+    A row that stands for a leader from elsewhere (`guest`) is not a member.
+    Only texts that differ from their leader go on to the next round.
     """
-    run, reps = None, []
+    run, leader = None, b""
     for batch in batches:
         for at in range(0, batch.num_rows, 256):
             part = batch.slice(at, 256)
-            cols = {c: part.column(c).to_pylist() for c in part.schema.names}
-            cls, first = [], []
-            for key, b in zip(zip(cols["fp"], cols["len"], cols["salt"], strict=True), cols["b"], strict=True):
+            c = {name: part.column(name).to_pylist() for name in ("fp", "len", "salt", "guest", "b")}
+            same = []
+            for key, b in zip(zip(c["fp"], c["len"], c["salt"], strict=True), c["b"], strict=True):
                 if key != run:
-                    run, reps = key, []
-                at_ = next((i for i, r in enumerate(reps) if _same(r, b)), None)
-                if at_ is None:
-                    at_ = len(reps)
-                    reps.append(b)
-                    first.append(True)
-                else:
-                    first.append(False)
-                cls.append(at_)
-            sha = [hashlib.sha256(b).hexdigest() for b in cols["b"]]
-            text = [b if keep_text and f and s >= 0 else None for b, f, s in zip(cols["b"], first, cols["salts"], strict=True)] if keep_text else None
-            cells = [cols["doc_id"], cols["points"], cols["len"], cols["fp"], sha, cols["salt"], cols["salts"], cls]
-            names = ["doc_id", "points", "len", "fp", "text_sha256", "salt", "salts", "cls"]
-            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int32(), pa.int32(), pa.int32()]
-            if keep_text:
-                text = [t if n > 1 else None for t, n in zip(text, cols["salts"], strict=True)]
-                cells, names, kinds = [*cells, text], [*names, "b"], [*kinds, pa.binary()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cells, kinds, strict=True)], names=names)
-
-
-_CLS = "doc_id long, points long, len long, fp long, text_sha256 string, salt int, salts int, cls int"
-
-
-def exact_dedup(docs: DataFrame, *, huge_bytes: int = 1 << 28, per_salt: int = 512, broadcast_rows: int = 1_000_000) -> DataFrame:
+                    run, leader = key, b
+                same.append(_same(leader, b))
+            cells = [part.column(n) for n in ("doc_id", "points", "text_sha256", "fp", "len", "salt")]
+            cells += [pa.array(same, pa.bool_()), pa.array([None if s else b for s, b in zip(same, c["b"], strict=True)], pa.binary())]
+            out = pa.RecordBatch.from_arrays(cells, names=["doc_id", "points", "text_sha256", "fp", "len", "salt", "same", "b"])
+            yield out.filter(pa.array([not g for g in c["guest"]], pa.bool_()))
+    give_back()
+
+
+def _round(rows: DataFrame) -> DataFrame:
+    """rows(doc_id, points, text_sha256, fp, len, salt, salts, lead, b) compared with the leader of their (fp, len).
+
+    Groups of several salts are dealt out by salt; each part gets a copy of the
+    leader's text, so no task has more than a part.
+    """
+    columns = ["doc_id", "points", "text_sha256", "fp", "len", "salt", "b"]
+    # of rows that bear the leader's name one text leads; the maximum is taken before the shuffle
+    leaders = rows.where("lead and salts > 1").groupBy("fp", "len").agg(F.max("b").alias("b"), F.first("salts").alias("salts"))
+    guests = leaders.select(F.lit(None).cast("long").alias("doc_id"), F.lit(0).cast("long").alias("points"), F.lit(None).cast("string").alias("text_sha256"), "fp", "len", F.explode(F.expr("sequence(0L, salts - 1)")).alias("salt"), "b")
+    met = rows.select(*columns, F.lit(False).alias("guest")).unionByName(guests.select(*columns, F.lit(True).alias("guest")))
+    met = met.repartition("fp", "len", "salt").sortWithinPartitions("fp", "len", "salt", F.desc("guest"))
+    return met.mapInArrow(_against_leader, _MEMBER)
+
+
+def exact_dedup(docs: DataFrame, *, huge_bytes: int = 1 << 28, per_salt: int = 512, broadcast_rows: int = 1_000_000, hashes: Callable[[bytes], tuple[int, int]] = chunk_hashes) -> DataFrame:
     """One row per input row: doc_id, keep_id, group_size, kept, text_sha256.
 
     Equal are texts that are identical without white space (null: empty). Of a
     group the row with most code points, then smallest doc_id stays; of rows
     that repeat a doc_id with equal text, one is kept. A null doc_id sorts last.
-    Groups of over per_salt rows are compared in salted parts, then part
-    representatives with one another, so no task gets a whole hot group.
-    An empty table gives an empty result; other columns are ignored.
+    Groups of over per_salt rows are compared in salted parts, so no task gets a
+    whole hot group. An empty table gives an empty result; other columns are
+    ignored.
     """
-    fps = stage(fingerprints(docs, huge_bytes), "exact-fp")
-    many = fps.groupBy("fp", "len").agg(F.count("*").alias("n")).where("n > 1").select("fp", "len", F.ceil(F.col("n") / per_salt).cast("int").alias("salts"))
-    many = stage(many, "exact-many")
-    known = maybe_broadcast(many, broadcast_rows)
-
-    def with_text(doc_id, text):
-        data = normalise(text)
-        h = chunk_hashes(data)
-        return doc_id, _points(text or b""), len(data), h[0] << 31 | h[1], data
-
-    texts = map_rows(docs.select(F.col("doc_id").cast("long"), "text"), with_text, "doc_id long, points long, len long, fp long, b binary")
-    texts = texts.join(known, ["fp", "len"]).withColumn("salt", F.expr("cast(pmod(xxhash64(doc_id, points), salts) as int)"))
-    ordered = texts.repartition("fp", "len", "salt").sortWithinPartitions("fp", "len", "salt")
-    first = stage(ordered.mapInArrow(lambda it: _classes(it, True), _CLS + ", b binary"), "exact-classes")
-    # second level: the parts of hot groups, by their representatives
-    reps = first.where("b is not null").withColumn("part", F.col("salt")).withColumn("part_cls", F.col("cls"))
-    reps = reps.select(F.struct("part", "part_cls").alias("of"), "doc_id", "points", "len", "fp", F.lit(0).alias("salt"), "salts", "b")
-    met = reps.repartition("fp", "len").sortWithinPartitions("fp", "len", "of").mapInArrow(_rep_classes, "fp long, len long, salt int, cls int, whole int")
-    member = first.drop("b").join(met, ["fp", "len", "salt", "cls"], "left").withColumn("cls", F.coalesce("whole", "cls")).drop("whole", "salt", "salts")
-    best = F.min(F.struct((-F.col("points")).alias("p"), F.col("doc_id").isNull().alias("z"), F.col("doc_id").alias("d")))
-    groups = member.groupBy("fp", "len", "cls").agg(F.count("*").alias("group_size"), best.alias("best"))
-    copies = member.join(groups, ["fp", "len", "cls"])
-    nth = F.row_number().over(Window.partitionBy("fp", "len", "cls", "doc_id").orderBy(F.desc("points")))
-    copies = copies.withColumn("nth", nth).select(
-        "doc_id", F.col("best.d").alias("keep_id"), "group_size", (F.col("doc_id").eqNullSafe(F.col("best.d")) & (F.col("nth") == 1)).alias("kept"), "text_sha256"
-    )
-    single = fps.join(many, ["fp", "len"], "left_anti")
-    sizes = single.select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), "text_sha256")
-    lone = single.where("text_sha256 is null").select("doc_id")
-    if huge_bytes < 1 << 31:  # digests of lone huge texts, which composable hashing left out
-        sha = docs.where(F.octet_length("text") > huge_bytes).select(F.col("doc_id").cast("long"), F.sha2(F.translate("text", SPACE.decode(), ""), 256).alias("sha"))
-        sizes = sizes.where("text_sha256 is not null").unionByName(sizes.where("text_sha256 is null").drop("text_sha256").join(sha.join(lone, "doc_id", "left_semi").withColumnRenamed("sha", "text_sha256"), "doc_id"))
-    return sizes.unionByName(copies)
-
-
-def _rep_classes(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    run, reps = None, []
-    for batch in batches:
-        rows = []
-        for fp, n, of, b in zip(*(batch.column(c).to_pylist() for c in ("fp", "len", "of", "b")), strict=True):
-            if (fp, n) != run:
-                run, reps = (fp, n), []
-            at = next((i for i, r in enumerate(reps) if _same(r, b)), len(reps))
-            if at == len(reps):
-                reps.append(b)
-            rows.append((fp, n, of["part"], of["part_cls"], at))
-        cols = list(zip(*rows, strict=True)) or [[]] * 5
-        kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32()]
-        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=["fp", "len", "salt", "cls", "whole"])
+    docs = docs.select("doc_id", "text")
+    with scratch(docs.sparkSession) as keep:
+        fps = keep(stage(fingerprints(docs, huge_bytes, hashes), "exact-fp"))
+        many = fps.groupBy("fp", "len").agg(F.count("*").alias("n"), F.min(F.struct("no_id", "d", "h1", "h2")).alias("leader")).where("n > 1")
+        many = keep(stage(many.select("fp", "len", F.ceil(F.col("n") / per_salt).alias("salts"), "leader"), "exact-many"))
+        group = maybe_broadcast(many, broadcast_rows)
+        named = fps.join(group, ["fp", "len"]).select(*_KEY, "points", "text_sha256", "fp", "len", "salts", (F.struct("no_id", "d", "h1", "h2") == F.col("leader")).alias("lead"))
+        named = stage(named.distinct(), "exact-named")
+        # copies lie in many partitions of the table, so its partitions make the salts
+        texts = _keyed(docs).withColumn("part", F.spark_partition_id()).join(maybe_broadcast(named, broadcast_rows), list(_KEY))
+        salt = F.pmod(F.xxhash64(*_KEY, "part"), F.col("salts"))
+        rows = texts.select("doc_id", "points", "text_sha256", "fp", "len", salt.alias("salt"), "salts", "lead", _bare().cast("binary").alias("b"))
+        found = []
+        for k in count():
+            now = keep(stage(_round(rows), f"exact-round-{k}"))
+            found.append(now.where("same").select("doc_id", "points", "text_sha256", "fp", "len", F.lit(k).alias("cls")))
+            left = now.where("not same")
+            if left.isEmpty():  # always, but for colliding fingerprints; every round settles one text of each group
+                break
+            least = left.groupBy("fp", "len").agg(F.min("text_sha256").alias("leader"), F.ceil(F.count("*") / per_salt).alias("salts"))
+            rows = left.join(least, ["fp", "len"]).select("doc_id", "points", "text_sha256", "fp", "len", F.pmod("salt", "salts").alias("salt"), "salts", (F.col("text_sha256") == F.col("leader")).alias("lead"), "b")
+        members = found[0]
+        for f in found[1:]:
+            members = members.unionByName(f)
+        members = keep(stage(members.withColumn("row", F.monotonically_increasing_id()), "exact-members"))
+    best = F.min(F.struct((-F.col("points")).alias("p"), F.col("doc_id").isNull().alias("z"), F.col("doc_id").alias("d"), F.col("row").alias("row")))
+    groups = members.groupBy("fp", "len", "cls").agg(F.count("*").alias("group_size"), best.alias("best"))
+    groups = maybe_broadcast(stage(groups, "exact-groups"), broadcast_rows)
+    copies = members.join(groups, ["fp", "len", "cls"]).select("doc_id", F.col("best.d").alias("keep_id"), "group_size", (F.col("row") == F.col("best.row")).alias("kept"), "text_sha256")
+    single = fps.join(group, ["fp", "len"], "left_anti")
+    lone = single.select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), "text_sha256")
+    return lone.unionByName(copies)

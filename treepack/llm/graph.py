@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from treepack.llm.common import stage
+from treepack.llm.common import scratch, stage
 
 
 def connected_components(edges: DataFrame, name: str = "components") -> DataFrame:
@@ -17,14 +19,19 @@ def connected_components(edges: DataFrame, name: str = "components") -> DataFram
     shuffle, and skewed joins are left to adaptive execution. Self loops and
     repeated edges are ignored; an empty input gives an empty result.
     """
-    now = stage(_ordered(edges.select("a", "b")), f"{name}-0")
-    seen = _mark(now)
-    for k in range(1, 64):
-        now = stage(_small(_large(now)), f"{name}-{k}")
-        mark = _mark(now)
-        if mark == seen:
-            break
-        seen = mark
+    spark = edges.sparkSession
+    with scratch(spark) as keep:
+        now = stage(_ordered(edges.select("a", "b")), f"{name}-0")
+        seen = _mark(now)
+        # ends: a round that changes an edge moves it to a smaller node, which can't go on for ever
+        for k in count(1):
+            with scratch(spark) as keep_round:
+                now = keep_round(stage(_small(_large(now)), f"{name}-{k}"))
+            mark = _mark(now)
+            if mark == seen:
+                break
+            seen = mark
+        keep(now)
     # all edges now are (node, root)
     return now.select(F.col("a").alias("node"), F.col("b").alias("root")).union(now.select(F.col("b"), F.col("b")).distinct())
 
