@@ -129,7 +129,7 @@ def test_tiles_skip_nothing_within_the_radius():
     i, j = np.nonzero(np.bitwise_count(fp[:, None] ^ fp[None, :]) <= 4)
     forest.add(i, j)
     other = sh.Forest(len(fp))
-    links = np.array(sh.tile_links(fp, 4, tile=16))
+    links = np.array(sh.tile_links(fp[:, None], 4, tile=16))
     other.add(links[:, 0], links[:, 1])
     assert (forest.label == other.label).all() and len(links) < len(fp)
 

@@ -17,10 +17,10 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from treepack.llm.common import give_back, map_rows, maybe_broadcast, stage, whole_runs
+from treepack.llm.common import give_back, map_rows, maybe_broadcast, scratch, stage, whole_runs
 from treepack.llm.graph import connected_components
 
 SEED = 42
@@ -94,41 +94,70 @@ class Forest:
             self.label = to[self.label]
 
 
-def tile_links(fp: np.ndarray, radius: int, tile: int = 512) -> list[tuple[int, int]]:
-    """Links that span the components of one bucket; fp distinct, in order of population count."""
-    pc, forest = np.bitwise_count(fp), Forest(len(fp))
+def distance(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Differing bits of fingerprints of one or several words (the last axis)."""
+    return np.bitwise_count(x ^ y).sum(axis=-1, dtype=np.int32)
+
+
+def tile_links(fp: np.ndarray, radius: np.ndarray | int, tile: int = 512) -> list[tuple[int, int]]:
+    """Links that span the components of one bucket; rows of fp (words of a fingerprint) in order of population count.
+
+    radius is one for all or one for each row, of which the larger counts.
+    Tiles whose rows are one component already hold no link that is needed.
+    """
+    pc, forest = np.bitwise_count(fp).sum(axis=1, dtype=np.int32), Forest(len(fp))
+    reach = np.broadcast_to(radius, len(fp))
     for a in range(0, len(fp), tile):
-        x, top = fp[a : a + tile], int(pc[min(a + tile, len(fp)) - 1])
+        x, r, top = fp[a : a + tile], reach[a : a + tile], int(pc[min(a + tile, len(fp)) - 1])
         for b in range(a, len(fp), tile):
-            if int(pc[b]) - top > radius:
+            if int(pc[b]) - top > int(reach.max()):
                 break
-            i, j = np.nonzero(np.bitwise_count(x[:, None] ^ fp[None, b : b + tile]) <= radius)
+            mine = forest.label[a : a + tile]
+            if b > a and (mine == mine[0]).all() and (forest.label[b : b + tile] == mine[0]).all():
+                continue
+            y, q = fp[b : b + tile], reach[b : b + tile]
+            apart = sum(np.bitwise_count(x[:, None, k] ^ y[None, :, k]).astype(np.int16) for k in range(fp.shape[1]))
+            i, j = np.nonzero(apart <= np.maximum(r[:, None], q[None, :]))
             forest.add(i + a, j + b)
     return forest.links
 
 
-def _bucket_links(batches: Iterable[pa.RecordBatch], radius: int, small: int = 32) -> Iterator[pa.RecordBatch]:
+def bucket_links(bucket: np.ndarray, fp: np.ndarray, radius: np.ndarray | int, small: int = 32) -> list[tuple[int, int]]:
+    """Links within all runs of equal buckets of a table sorted by bucket and population count.
+
+    A run of up to `small` rows is one tile; the diagonals of all such tiles are
+    compared together, and a row leaves once the population counts of its run
+    lie further apart than the radius. Longer runs go tile by tile.
+    """
+    n = len(fp)
+    begin, length = runs_of(bucket)
+    pc = np.bitwise_count(fp).sum(axis=1, dtype=np.int32)
+    reach = np.broadcast_to(radius, n)
+    left = np.repeat(length, length) - (np.arange(n) - np.repeat(begin, length))  # rows of the run from here on
+    forest, i, far = Forest(n), np.flatnonzero(np.repeat(length <= small, length)), int(reach.max()) if n else 0
+    for d in range(1, small):
+        i = i[left[i] > d]
+        i = i[pc[i + d] - pc[i] <= far]  # counts only rise along a run
+        if not len(i):
+            break
+        near = distance(fp[i], fp[i + d]) <= np.maximum(reach[i], reach[i + d])
+        forest.add(i[near], i[near] + d)
+    links = forest.links
+    for s, k in zip(begin[length > small].tolist(), length[length > small].tolist(), strict=True):
+        links += [(s + i, s + j) for i, j in tile_links(fp[s : s + k], reach[s : s + k])]
+    return links
+
+
+def runs_of(bucket: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """First rows and lengths of the runs of equal values."""
+    begin = np.flatnonzero(np.concatenate(([True], bucket[1:] != bucket[:-1]))) if len(bucket) else np.empty(0, int)
+    return begin, np.diff(np.concatenate((begin, [len(bucket)])))
+
+
+def _bucket_links(batches: Iterable[pa.RecordBatch], radius: int) -> Iterator[pa.RecordBatch]:
     for t in whole_runs(batches, ["bucket"]):
-        bucket, fp = t.column("bucket").to_numpy(), t.column("fp").to_numpy().view(np.uint64)
-        n = len(fp)
-        new = np.concatenate(([True], bucket[1:] != bucket[:-1]))
-        begin = np.flatnonzero(new)
-        length = np.diff(np.concatenate((begin, [n])))
-        left = np.repeat(length, length) - (np.arange(n) - np.repeat(begin, length))  # rows of the run from here on
-        little = np.repeat(length <= small, length)
-        forest = Forest(n)
-        for d in range(1, small):  # all short buckets of the batch at once, by distance within them
-            i = np.flatnonzero(little & (left > d))
-            if not len(i):
-                break
-            near = np.bitwise_count(fp[i] ^ fp[i + d]) <= radius
-            forest.add(i[near], i[near] + d)
-        links = forest.links
-        for s, k in zip(begin[length > small].tolist(), length[length > small].tolist(), strict=True):
-            links += [(s + i, s + j) for i, j in tile_links(fp[s : s + k], radius)]
-        if links:
-            e = np.array(links)
-            yield pa.RecordBatch.from_arrays([pa.array(fp[e[:, 0]].view(np.int64)), pa.array(fp[e[:, 1]].view(np.int64))], names=["a", "b"])
+        fp = t.column("fp").to_numpy()
+        yield from _edges(fp, bucket_links(t.column("bucket").to_numpy(), fp.view(np.uint64)[:, None], radius))
     give_back()
 
 
@@ -177,24 +206,30 @@ def simhash_dedup(docs: DataFrame, *, shingle: int = 4, radius: int = 4) -> Data
     rows that repeat a doc_id each get a row; an empty table gives none. Other
     columns of docs are ignored.
     """
-    fps = stage(fingerprints(docs, shingle), "simhash-fp")
-    distinct = stage(fps.groupBy("fp").agg(F.min("doc_id").alias("first")), "simhash-distinct")
-    comp = connected_components(links(distinct.select("fp"), radius=radius), "simhash-cc")
-    named = distinct.join(comp, distinct.fp == comp.node, "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
-    least = named.groupBy("root").agg(F.min("first").alias("component_id"))
-    of_fp = named.join(least, "root").select("fp", "component_id")
-    return fps.join(of_fp, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    with scratch(docs.sparkSession) as keep:
+        fps = keep(stage(fingerprints(docs, shingle), "simhash-fp"))
+        distinct = stage(fps.groupBy("fp").agg(F.min("doc_id").alias("first")), "simhash-distinct")
+        comp = connected_components(links(distinct.select("fp"), radius=radius), "simhash-cc")
+        linked = stage(distinct.join(comp, distinct.fp == comp.node).select("fp", "first", "root"), "simhash-linked")
+        least = stage(linked.groupBy("root").agg(F.min("first").alias("component_id")), "simhash-least")
+        of_linked = linked.join(maybe_broadcast(least, 500_000), "root").select("fp", "component_id")
+        alone = distinct.join(linked, "fp", "left_anti").select("fp", F.col("first").alias("component_id"))
+        of_fp = keep(stage(of_linked.unionByName(alone), "simhash-of"))
+    return fps.join(maybe_broadcast(of_fp, 500_000), "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
 # --- by similarity ---------------------------------------------------------------------
 
 ROWS = 4
-SKETCH = 64
+WIDE = 256
+#: Radii over WIDE bits for sets of shingles as similar as 0.8. A bit differs in 15 % of such pairs, 19 % where sets are
+#: small and majorities narrow; the radius lies five standard deviations over that.
+REACH, SMALL_REACH, SMALL_SET = 72, 84, 16
 
 
 def bands_for(similarity: float, recall: float) -> int:
-    """Bands of ROWS minima that a pair of this similarity needs to share one with probability `recall`; enough for a sketch of SKETCH bytes."""
-    return max(SKETCH // ROWS, int(np.ceil(np.log(1 - recall) / np.log1p(-(similarity**ROWS)))))
+    """Bands of ROWS minima that a pair of this similarity needs to share one with probability `recall`."""
+    return max(1, int(np.ceil(np.log(1 - recall) / np.log1p(-(similarity**ROWS)))))
 
 
 def minima(h: np.ndarray, k: int) -> np.ndarray:
@@ -202,23 +237,32 @@ def minima(h: np.ndarray, k: int) -> np.ndarray:
     add = np.random.default_rng(SEED).integers(0, 2**64, k, dtype=np.uint64, endpoint=False)
     least = np.full(k, 2**64 - 1, np.uint64)
     for at in range(0, len(h), 2048):
-        x = (h[at : at + 2048, None] + add) * np.uint64(0xBF58476D1CE4E5B9)
-        x ^= x >> np.uint64(29)
-        x *= np.uint64(0x94D049BB133111EB)
-        x ^= x >> np.uint64(32)
-        np.minimum(least, x.min(axis=0), out=least)
+        np.minimum(least, _mixed(h[at : at + 2048, None] + add).min(axis=0), out=least)
     return least
 
 
+def _mixed(x: np.ndarray) -> np.ndarray:
+    x = x * np.uint64(0xBF58476D1CE4E5B9)
+    x ^= x >> np.uint64(29)
+    x *= np.uint64(0x94D049BB133111EB)
+    x ^= x >> np.uint64(32)
+    return x
+
+
+def wide_fingerprint(h: np.ndarray) -> bytes:
+    """A SimHash of WIDE bits: the shingle hashes and mixings of them give a word each."""
+    return b"".join(majority_bits(h if k == 0 else _mixed(h + np.uint64(k))).to_bytes(8, "little") for k in range(WIDE // BITS))
+
+
 def _signed(v: int) -> int:
     return v - (1 << 64) if v >> 63 else v
 
 
 def sketch(h: np.ndarray, bands: int) -> tuple[int, int, list[int], bytes]:
-    """(node, size, band keys, low bytes of the first minima) of sorted distinct hashes; node names the set."""
+    """(node, size, band keys, fingerprint) of sorted distinct hashes; node names the set."""
     least = minima(h, bands * ROWS)
     keys = [_signed(xxhash.xxh64_intdigest(row.tobytes(), k)) for k, row in enumerate(least.reshape(bands, ROWS))]
-    return _signed(xxhash.xxh64_intdigest(h.tobytes(), SEED)), len(h), keys, least[:SKETCH].astype(np.uint8).tobytes()
+    return _signed(xxhash.xxh64_intdigest(h.tobytes(), SEED)), len(h), keys, wide_fingerprint(h)
 
 
 def _spanning(n: int, near) -> list[tuple[int, int]]:
@@ -238,47 +282,18 @@ def _spanning(n: int, near) -> list[tuple[int, int]]:
         left = np.delete(left, at)
 
 
-def _runs(t: pa.Table) -> tuple[np.ndarray, np.ndarray]:
-    """First rows and lengths of the runs of equal buckets."""
-    bucket = t.column("bucket").to_numpy()
-    begin = np.flatnonzero(np.concatenate(([True], bucket[1:] != bucket[:-1])))
-    return begin, np.diff(np.concatenate((begin, [len(bucket)])))
-
-
-def _fits(sizes: np.ndarray, n, similarity: float) -> np.ndarray:
-    """Whether sets of these sizes can be as similar as that to a set of size n."""
-    return np.minimum(sizes, n) >= similarity * np.maximum(sizes, n) - 1e-9
-
-
 def _edges(node: np.ndarray, links: list[tuple[int, int]]) -> Iterator[pa.RecordBatch]:
     if links:
         e = np.array(links)
         yield pa.RecordBatch.from_arrays([pa.array(node[e[:, 0]]), pa.array(node[e[:, 1]])], names=["a", "b"])
 
 
-def _sketch_links(batches: Iterable[pa.RecordBatch], similarity: float, small: int = 16) -> Iterator[pa.RecordBatch]:
-    """Links of members of a bucket whose sketches leave it open that they are similar (five standard deviations)."""
-    least = int(SKETCH * similarity - 5 * np.sqrt(SKETCH * similarity * (1 - similarity)))
+def _wide_links(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Links of members of a bucket whose wide fingerprints leave it open that they are similar."""
     for t in whole_runs(batches, ["bucket"]):
-        node, size = t.column("node").to_numpy(), t.column("size").to_numpy()
-        low = np.frombuffer(b"".join(t.column("low").to_pylist()), np.uint8).reshape(-1, SKETCH)
-        begin, length = _runs(t)
-        left = np.repeat(length, length) - (np.arange(len(node)) - np.repeat(begin, length))
-        little = np.repeat(length <= small, length)
-        forest = Forest(len(node))
-        for d in range(1, small):
-            i = np.flatnonzero(little & (left > d))
-            if not len(i):
-                break
-            near = (low[i] == low[i + d]).sum(axis=1) >= least
-            near &= _fits(size[i], size[i + d], similarity)
-            forest.add(i[near], i[near] + d)
-        links = forest.links
-        for s, n in zip(begin[length > small].tolist(), length[length > small].tolist(), strict=True):
-            x, z = low[s : s + n], size[s : s + n]
-            near = lambda i, x=x, z=z: ((x == x[i]).sum(axis=1) >= least) & _fits(z, z[i], similarity)
-            links += [(s + i, s + j) for i, j in _spanning(n, near)]
-        yield from _edges(node, links)
+        fp = np.frombuffer(b"".join(t.column("fp").to_pylist()), np.uint64).reshape(-1, WIDE // BITS)
+        reach = np.where(t.column("size").to_numpy() < SMALL_SET, SMALL_REACH, REACH)
+        yield from _edges(t.column("node").to_numpy(), bucket_links(t.column("bucket").to_numpy(), fp, reach))
     give_back()
 
 
@@ -287,7 +302,7 @@ def _jaccard_links(batches: Iterable[pa.RecordBatch], similarity: float) -> Iter
     for t in whole_runs(batches, ["bucket"], least=1 << 8):
         node, sets = t.column("node").to_numpy(), t.column("hashes")
         links = []
-        for s, n in zip(*(x.tolist() for x in _runs(t)), strict=True):
+        for s, n in zip(*(x.tolist() for x in runs_of(t.column("bucket").to_numpy())), strict=True):
             if n < 2:
                 continue
             some = [np.frombuffer(v.as_py(), np.uint64) for v in sets.slice(s, n).chunk(0)]
@@ -315,17 +330,21 @@ def _jaccard_links(batches: Iterable[pa.RecordBatch], similarity: float) -> Iter
 def similar_dedup(docs: DataFrame, *, shingle: int = 5, similarity: float = 0.8, recall: float = 1 - 1e-6, hot: int = 1 << 14, hot_sets: int = 1 << 11) -> DataFrame:
     """(doc_id, text_key, component_id, kept): components of texts linked by shingle sets of Jaccard similarity `similarity` or more.
 
-    Bands of minima find candidates: two sets at the limit share one with
-    probability `recall`, more similar ones with a higher one. Sketches that
-    rule a pair out (five standard deviations under the limit) are set aside;
-    the rest form loose components. Each loose component is then linked anew
-    from the sets themselves, so every link has its true similarity, and no pair
-    in a loose component is missed. Sets travel once for each text that has a
-    candidate; a component of over `hot_sets` texts is cut into parts, and each
-    two parts are compared in a task of their own.
+    A SimHash radius for that similarity is a quarter of the bits, so blocks of
+    equal bits can't find pairs, and comparing all tiles would grow with the
+    square of the input. Bands of minima make the buckets instead: two sets at
+    the limit share one with probability `recall`, more similar ones with a
+    higher one. In a bucket, wide SimHash fingerprints are compared tile by
+    tile; pairs beyond the radius are set aside, the rest form loose components.
+    Each loose component is then linked anew from the sets themselves, so every
+    link has its true similarity, and no pair in a loose component is missed.
+    Sets travel once for each text that has a candidate; a component of over
+    `hot_sets` texts is cut into parts, and each two parts are compared in a
+    task of their own.
     Texts without words are alike. component_id is the least doc_id; kept marks
     the rows with that id and, of such, the least text_key (Spark's xxhash64 of
     the text), so rows that repeat an id with different texts are told apart.
+    An empty table gives an empty result; other columns of docs are ignored.
     """
     bands = bands_for(similarity, recall)
 
@@ -336,17 +355,28 @@ def similar_dedup(docs: DataFrame, *, shingle: int = 5, similarity: float = 0.8,
         h = np.unique(shingle_hashes(text, shingle))
         return root, _signed(xxhash.xxh64_intdigest(h.tobytes(), SEED)), len(h), h.tobytes()
 
-    keyed = docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_key"), "text")
-    fps = stage(map_rows(keyed, row, "doc_id long, text_key long, node long, size long, bands array<long>, low binary"), "similar-fp")
-    distinct = stage(fps.groupBy("node").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.first("size").alias("size"), F.first("bands").alias("bands"), F.first("low").alias("low")), "similar-distinct")
-    rows = distinct.where("size > 0").select("node", "size", "low", F.col("size").alias("pc"), F.explode("bands").alias("bucket"))
-    loose = stage(connected_components(_compared(rows, ["node", "size", "low"], lambda it: _sketch_links(it, similarity), hot), "similar-loose"), "similar-roots")
-    wanted = distinct.join(loose, "node").select(F.col("first.text_key").alias("text_key"), "root")
-    texts = keyed.select("text_key", "text").join(maybe_broadcast(wanted, 500_000), "text_key").select("root", "text")
-    sets = stage(map_rows(texts, with_set, "bucket long, node long, pc long, hashes binary"), "similar-sets")
-    comp = connected_components(_compared(sets, ["node", "hashes"], lambda it: _jaccard_links(it, similarity), hot_sets), "similar-cc")
-    named = distinct.select("node", "first").join(comp, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    least = named.groupBy("root").agg(F.min("first").alias("keep"))
-    out = fps.select("doc_id", "text_key", "node").join(named.join(least, "root").select("node", "keep"), "node")
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_key"), "text")
+    with scratch(docs.sparkSession) as keep:
+        fps = keep(stage(map_rows(keyed, row, "doc_id long, text_key long, node long, size long, bands array<long>, fp binary"), "similar-fp"))
+        distinct = fps.groupBy("node").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.first("size").alias("size"), F.first("bands").alias("bands"), F.first("fp").alias("fp"))
+        distinct = keep(stage(distinct, "similar-distinct"))
+        rows = distinct.where("size > 0").withColumn("pc", _population("fp")).select("node", "size", "fp", "pc", F.explode("bands").alias("bucket"))
+        loose = stage(connected_components(_compared(rows, ["node", "size", "fp"], _wide_links, hot), "similar-loose"), "similar-roots")
+        wanted = distinct.join(loose, "node").select(F.col("first.text_key").alias("text_key"), "root").distinct()
+        texts = keyed.select("text_key", "text").join(maybe_broadcast(wanted, 500_000), "text_key").select("root", "text")
+        sets = stage(map_rows(texts, with_set, "bucket long, node long, pc long, hashes binary").dropDuplicates(["bucket", "node"]), "similar-sets")
+        comp = connected_components(_compared(sets, ["node", "hashes"], lambda it: _jaccard_links(it, similarity), hot_sets), "similar-cc")
+        linked = stage(distinct.join(comp, "node").select("node", "first", "root"), "similar-linked")
+        least = stage(linked.groupBy("root").agg(F.min("first").alias("keep")), "similar-least")
+        of_linked = linked.join(maybe_broadcast(least, 500_000), "root").select("node", "keep")
+        alone = distinct.join(linked, "node", "left_anti").select("node", F.col("first").alias("keep"))
+        of_node = keep(stage(of_linked.unionByName(alone), "similar-of"))
+    out = fps.select("doc_id", "text_key", "node").join(maybe_broadcast(of_node, 500_000), "node")
     kept = F.col("doc_id").eqNullSafe(F.col("keep.doc_id")) & (F.col("text_key") == F.col("keep.text_key"))
     return out.select("doc_id", "text_key", F.col("keep.doc_id").alias("component_id"), kept.alias("kept"))
+
+
+def _population(fp: str) -> Column:
+    """Set bits of a binary column, as the sum over its 8-byte words."""
+    word = lambda k: F.conv(F.hex(F.substring(fp, 8 * k + 1, 8)), 16, -10).cast("long")
+    return sum((F.bit_count(word(k)) for k in range(1, WIDE // BITS)), F.bit_count(word(0)))
