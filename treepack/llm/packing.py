@@ -5,12 +5,13 @@ keeps N[g], the number of open bins with g places left, and puts each piece
 where the sum of N[g]**2 becomes least; that keeps the gaps evenly spread and
 so fillable. Pieces are packed in groups of bounded size, in parallel; what
 stays open after a level is packed again, as a single piece per bin, with the
-open bins of other groups, until one group holds all or a level saves nothing.
+open bins of other groups, until one group holds all or a level saves too little.
 """
 
 from __future__ import annotations
 
 import zlib
+
 import numpy as np
 import regex
 from pyspark.sql import DataFrame
@@ -25,7 +26,10 @@ WORDS = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\p{White_Space}\p{L}\p{N}]+
 
 
 class WordBPE:
-    """A tokenizer file whose words are coded apart, so each different word is coded once per worker."""
+    """A tokenizer file whose words are coded apart, so each different word is coded once per worker.
+
+    A text that may hold one of the file's added tokens goes to the tokenizer as it is.
+    """
 
     _made: dict = {}
 
@@ -36,7 +40,7 @@ class WordBPE:
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self.tok.encode_special_tokens = True
+        self.added = [t.content[:2] for t in self.tok.get_added_tokens_decoder().values()]
         self.words, self.keep, self.block = regex.compile(WORDS), keep_words, block
         vocab = self.tok.get_vocab(with_added_tokens=True)
         self.last = np.zeros(max(vocab.values()) + 1, bool)  # tokens that end a word
@@ -73,14 +77,18 @@ class WordBPE:
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Ids of each text as little-endian unsigned 32-bit integers."""
-        words = [self.words.findall(self.normal(t)) for t in texts]
+        odd = {k for k, t in enumerate(texts) if any(a in t for a in self.added)}
+        words = [[] if k in odd else self.words.findall(self.normal(t)) for k, t in enumerate(texts)]
         if unknown := set().union(*words).difference(self.ids):
             self.learn(unknown)
         try:
-            return [b"".join(map(self.ids.__getitem__, w)) for w in words]
+            out = [b"".join(map(self.ids.__getitem__, w)) for w in words]
         except KeyError:  # the table of words was emptied
             self.learn(set().union(*words))
-            return [b"".join(map(self.ids.__getitem__, w)) for w in words]
+            out = [b"".join(map(self.ids.__getitem__, w)) for w in words]
+        for k in odd:
+            out[k] = np.array(self.tok.encode(texts[k], add_special_tokens=False).ids, "<u4").tobytes()
+        return out
 
 
 def pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, with_ids: bool = False) -> DataFrame:
@@ -132,36 +140,17 @@ class SumOfSquares:
         return b, c - best_gap
 
 
-    def best_fit(self, size: int) -> tuple[int, int]:
-        """(bin, offset) in the open bin with the least gap that is large enough."""
-        k = np.flatnonzero(self.n[size:])
-        gap = int(k[0]) + size if len(k) else self.capacity
-        if len(k):
-            b = self.open[gap].pop()
-            self.n[gap] -= 1
-        else:
-            b, self.bins = self.bins, self.bins + 1
-        if gap > size:
-            self.n[gap - size] += 1
-            self.open[gap - size].append(b)
-        return b, self.capacity - gap
-
-
-def pack_sizes(sizes: np.ndarray, capacity: int = CAPACITY, tail: float = 0.1) -> tuple[np.ndarray, np.ndarray]:
-    """(bin, offset) of each size, in the order given.
+def pack_sizes(sizes: np.ndarray, capacity: int = CAPACITY) -> tuple[np.ndarray, np.ndarray]:
+    """(bin, offset) of each size, in the order given; placed from the largest to the smallest.
 
-    The sum of squares rule keeps bins of every gap open for what is still to
-    come, so the smallest sizes, up to a share `tail` of all, are kept back and
-    then close those gaps, the largest of them first, each in the tightest bin.
+    The rule keeps bins of every gap open for what is still to come, and the
+    small sizes that come last close them; of equal changes the tightest gap wins.
     """
-    packer, small = SumOfSquares(capacity), np.argsort(sizes, kind="stable")
-    small = small[: np.searchsorted(np.cumsum(sizes[small]), tail * sizes.sum())]
-    late = np.zeros(len(sizes), bool)
-    late[small] = True
+    packer = SumOfSquares(capacity)
     where, offset = np.empty(len(sizes), np.int64), np.empty(len(sizes), np.int64)
-    for put, order in ((packer.place, np.flatnonzero(~late)), (packer.best_fit, small[::-1])):
-        for i, s in zip(order.tolist(), sizes[order].tolist(), strict=True):
-            where[i], offset[i] = put(s)
+    order = np.argsort(-sizes, kind="stable")
+    for i, s in zip(order.tolist(), sizes[order].tolist(), strict=True):
+        where[i], offset[i] = packer.place(s)
     return where, offset
 
 
@@ -172,12 +161,14 @@ def _pack_group(pdf, capacity: int):
     return pdf[["id", "size", "bin", "shift"]]
 
 
-def pack(items: DataFrame, *, capacity: int = CAPACITY, group: int = 8192) -> DataFrame:
+def pack(items: DataFrame, *, capacity: int = CAPACITY, group: int = 8192, worth: int = 64) -> DataFrame:
     """items(id long unique, size long) -> (id, size, sequence_id, offset).
 
     Groups hold about `group` items, dealt by a hash of the id. A level packs
     all groups apart; the bins with room left are the items of the next level,
-    which has few of them, and so on until a level has one group.
+    which has few of them, and so on until a level has one group or joins fewer
+    than one in `worth` of its items. Each level but the last is thus smaller by
+    that share at least, so there are no more than log(items) / log(1 + 1 / worth).
     """
     level, items = 0, stage(items, "pack-items")
     total = items.count()
@@ -197,10 +188,9 @@ def pack(items: DataFrame, *, capacity: int = CAPACITY, group: int = 8192) -> Da
             return placed
         items = done.groupBy("bin").agg(F.sum("size").alias("size")).where(F.col("size") < capacity).select(F.col("bin").alias("id"), "size")
         items, level = stage(items, f"pack-open-{level}"), level + 1
-        fewer = items.count()
-        if fewer == 0 or fewer >= total or level > 100:
+        before, total = total, items.count()
+        if total == 0 or (before - total) * worth < before:
             return placed
-        total = fewer
 
 
 def pack_documents(docs: DataFrame, path: str, *, capacity: int = CAPACITY) -> DataFrame:
