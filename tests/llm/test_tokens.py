@@ -14,7 +14,7 @@ from treepack.llm import byte_bpe, packing
 RANKS = P.path("byte_bpe_50k.tiktoken")
 WORDS = P.path("word_bpe_49k.json")
 TEXTS = [
-    None, "", "   ", "hello world, don't!", "é ñ 日本語 😀😀 \u0085 \x1c\x1d", "a" * 3000, "ab" * 900, "  \t\n  x", "<|endoftext|> <|startoftext|>", "'s 'S it's 'LL !'s ''s", "İstanbul ΑΣ. ½ ① Ⅷ ß ﬁ", "word " * 9000,
+    None, "", "   ", "hello world, don't!", "é ñ 日本語 😀😀 \u0085 \x1c\x1d", "a" * 3000, "ab" * 900, "  \t\n  x", "<|endoftext|> <|startoftext|>", "a<|endoftext|>b <|ENDOFTEXT|> <|x ", "'s 'S it's 'LL !'s ''s", "İstanbul ΑΣ. ½ ① Ⅷ ß ﬁ", "word " * 9000,
     *("".join(random.Random(k).choice(["ab", "cde ", "é", "1234", "\n", " X", "!?"]) for _ in range(200)) for k in range(20)),
 ]
 
@@ -35,10 +35,26 @@ def test_byte_bpe_as_the_library(docs):
         want.append((d, len(ids), hashlib.sha256(np.array(ids, "<u4").tobytes()).hexdigest(), hashlib.sha256((t or "").encode()).hexdigest()))
     got = [tuple(r) for r in byte_bpe.byte_bpe_digest(df, RANKS, P.PATTERN).collect()]
     assert sorted(got, key=repr) == sorted(want, key=repr)
-    back = {r.doc_id: bytes(r.decoded) for r in byte_bpe.byte_bpe(df, RANKS, P.PATTERN).collect()}
+    coded = byte_bpe.byte_bpe(df, RANKS, P.PATTERN)
+    back = {r.doc_id: bytes(r.decoded) for r in byte_bpe.byte_bpe_decode(coded.withColumnRenamed("ids", "part"), RANKS, P.PATTERN, "part").collect()}
     assert all(back[d] == (t or "").encode() for d, t, *_ in rows)
 
 
+def test_decoding_of_any_ids(spark, monkeypatch):
+    """Ids that no text gave, in parts of a few tokens; unknown ids raise."""
+    ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(RANKS, "rb"))}
+    tokens, rnd = {i: t for t, i in ranks.items()}, random.Random(4)
+    lists = [[rnd.choice(list(tokens)) for _ in range(n)] for n in (0, 1, 5, 40, 300)]
+    bpe = byte_bpe.ByteBPE(RANKS, P.PATTERN)
+    monkeypatch.setattr(byte_bpe, "_TOKENS", 7)
+    assert bpe.decode([np.array(x, "<u4").tobytes() for x in lists]) == [b"".join(tokens[i] for i in x) for x in lists]
+    for bad in (50256, 2**31):
+        with pytest.raises(ValueError):
+            bpe.decode([np.array([bad], "<u4").tobytes()])
+    df = spark.createDataFrame([(1, None), (1, bytearray()), (None, bytearray(np.array([70], "<u4").tobytes()))], "doc_id long, ids binary")
+    assert sorted((r.doc_id is None, bytes(r.decoded)) for r in byte_bpe.byte_bpe_decode(df, RANKS, P.PATTERN).collect()) == [(False, b""), (False, b""), (True, tokens[70])]
+
+
 def test_small_word_table_and_heap_agree():
     bpe = byte_bpe.ByteBPE(RANKS, P.PATTERN, keep_words=20, long_word=12, block=7)
     other = byte_bpe.ByteBPE.of(RANKS, P.PATTERN)
@@ -48,7 +64,6 @@ def test_small_word_table_and_heap_agree():
 
 def pieces_of(rows):
     tok = Tokenizer.from_file(WORDS)
-    tok.encode_special_tokens = True
     out = []
     for d, t, *_ in rows:
         ids = np.array([*tok.encode(t or "", add_special_tokens=False).ids, 1], "<u4")
@@ -81,7 +96,7 @@ def test_levels_pack_close_to_the_bound(spark):
     rows = packing.pack(items, group=2000).collect()
     assert len(rows) == 20_000
     n = check_bins([(r.sequence_id, r.offset, r.size) for r in rows], 4096)
-    assert n <= 1.01 * sum(r.size for r in rows) / 4096 + 1
+    assert n <= 1.005 * sum(r.size for r in rows) / 4096 + 1
 
 
 def test_sum_of_squares_rule():

@@ -4,9 +4,9 @@ A worker holds one in-process DuckDB with two tables: the vocabulary and the
 merges (every way to join two tokens into a third). Words that it has not seen
 become token-position rows; a recursive query joins neighbouring rows to the
 merges, contracts each word's leftmost pair of least rank, and goes on until no
-word has a pair left. Decoding joins token rows to the vocabulary and
-concatenates them in order. Words repeat, so results are kept in a bounded
-table; a text is the concatenation of its words.
+word has a pair left. Words repeat, so their ids are kept in a bounded table; a
+text is the concatenation of its words. Decoding takes any ids: token-position
+rows join the vocabulary and are concatenated in order.
 """
 
 from __future__ import annotations
@@ -17,6 +17,7 @@ import heapq
 import threading
 
 import duckdb
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
@@ -40,15 +41,14 @@ state AS (
               FROM state JOIN best ON wid = slot >> {_POS})
    SELECT step + 1, slot - (pos > hit)::BIGINT, CASE WHEN pos = hit THEN into_id ELSE tok END FROM placed WHERE pos <> hit + 1)
 )
-SELECT slot >> {_POS} AS wid, string_agg(v.le, '' ORDER BY slot) AS ids, string_agg(v.h, '' ORDER BY slot) AS text FROM state
+SELECT slot >> {_POS} AS wid, string_agg(v.le, '' ORDER BY slot) AS ids FROM state
 JOIN (SELECT slot >> {_POS} AS w, max(step) AS last FROM state GROUP BY 1) z ON w = slot >> {_POS} AND step = last
 JOIN vocab v ON v.id = tok GROUP BY 1
-UNION ALL SELECT wid, v.le, v.h FROM whole JOIN vocab v USING (id)
-"""
-_DECODE = """
-SELECT wid, string_agg(v.le, '' ORDER BY pos) AS ids, string_agg(v.h, '' ORDER BY pos) AS text
-FROM (SELECT wid, unnest(ids) AS id, generate_subscripts(ids, 1) AS pos FROM coded) JOIN vocab v USING (id) GROUP BY wid
+UNION ALL SELECT wid, v.le FROM whole JOIN vocab v USING (id)
 """
+_DECODE = "SELECT part, string_agg(v.h, '' ORDER BY pos) AS bytes FROM tokens JOIN vocab v USING (id) GROUP BY part"
+#: Tokens that one decoding query takes.
+_TOKENS = 1 << 20
 
 
 class ByteBPE:
@@ -57,13 +57,14 @@ class ByteBPE:
     _made: dict = {}
     _lock = threading.Lock()
 
-    def __init__(self, path: str, pattern: str, keep_words: int = 1_000_000, long_word: int = 256, block: int = 16_384):
+    def __init__(self, path: str, pattern: str, keep_words: int = 1_000_000, long_word: int = 1024, block: int = 16_384):
         with open(path, "rb") as f:
             self.ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
         self.pattern, self.keep_words, self.long_word, self.block = regex.compile(pattern), keep_words, long_word, block
-        self.tokens = {i: t for t, i in self.ranks.items()}
+        self.most = max(self.ranks.values())
+        self.known = np.zeros(self.most + 1, bool)
+        self.known[list(self.ranks.values())] = True
         self.ids: dict[str, bytes] = {}
-        self.text: dict[bytes, bytes] = {}
         self.db = duckdb.connect(config={"threads": 1, "memory_limit": "400MB", "temp_directory": ""})
         vocab_rows = pa.table(  # noqa: F841
             {
@@ -91,7 +92,6 @@ class ByteBPE:
         new = sorted(w for w in words if w not in self.ids)
         if len(self.ids) + len(new) > self.keep_words:
             self.ids.clear()
-            self.text.clear()
             new = sorted(words)
         data = [w.encode() for w in new]
         short = [i for i, b in enumerate(data) if len(b) <= self.long_word]
@@ -99,19 +99,9 @@ class ByteBPE:
             part = short[at : at + self.block]
             words = pa.table({"wid": pa.array(part, pa.int32()), "word": pa.array([data[i] for i in part], pa.binary())})
             self.db.register("words", words)
-            self._keep(new, _ENCODE)
-        # the recursion rewrites a word at each step, too much for very long ones
-        long = [i for i, b in enumerate(data) if len(b) > self.long_word]
-        if long:
-            coded = pa.table({"wid": pa.array(long, pa.int32()), "ids": pa.array([merge_long(data[i], self.ranks) for i in long], pa.list_(pa.int32()))})
-            self.db.register("coded", coded)
-            self._keep(new, _DECODE)
-
-    def _keep(self, words: list[str], sql: str) -> None:
-        for i, ids, text in self.db.execute(sql).fetchall():
-            key = bytes.fromhex(ids)
-            self.ids[words[i]] = key
-            self.text[key] = bytes.fromhex(text)
+            self.ids.update((new[i], bytes.fromhex(ids)) for i, ids in self.db.execute(_ENCODE).fetchall())
+        # the recursion writes a word anew at each step, too much for very long ones
+        self.ids.update((new[i], np.array(merge_long(b, self.ranks), "<u4").tobytes()) for i, b in enumerate(data) if len(b) > self.long_word)
 
     def encode(self, texts: list[str]) -> list[list[bytes]]:
         """Of each text, the ids of each word as little-endian unsigned 32-bit integers. New words are learnt together."""
@@ -124,8 +114,23 @@ class ByteBPE:
             self.learn(set().union(*words))
             return [list(map(self.ids.__getitem__, w)) for w in words]
 
-    def decode(self, parts: list[bytes]) -> bytes:
-        return b"".join(map(self.text.__getitem__, parts))
+    def decode(self, coded: list[bytes]) -> list[bytes]:
+        """Bytes of each list of ids (little-endian unsigned 32-bit); ids that are not in the vocabulary raise."""
+        out: list[list[bytes]] = [[] for _ in coded]
+        parts = [(k, c[at : at + 4 * _TOKENS]) for k, c in enumerate(coded) for at in range(0, len(c), 4 * _TOKENS)]
+        while parts:
+            some, size = [], 0
+            while parts and (not some or size + len(parts[0][1]) <= 4 * _TOKENS):
+                some.append(parts.pop(0))
+                size += len(some[-1][1])
+            ids = np.frombuffer(b"".join(c for _, c in some), "<u4")
+            if len(ids) and int(ids.max()) > self.most or not self.known[ids].all():
+                raise ValueError("an id is not in the vocabulary")
+            part = np.repeat(np.arange(len(some), dtype=np.int32), [len(c) // 4 for _, c in some])
+            self.db.register("tokens", pa.table({"part": part, "pos": np.arange(len(ids), dtype=np.int32), "id": ids.astype(np.int32)}))
+            for k, h in sorted(self.db.execute(_DECODE).fetchall()):
+                out[some[k][0]].append(bytes.fromhex(h))
+        return [b"".join(x) for x in out]
 
 
 def merge_long(word: bytes, ranks: dict[bytes, int]) -> list[int]:
@@ -163,19 +168,28 @@ def byte_bpe(docs: DataFrame, path: str, pattern: str) -> DataFrame:
     """
 
     def many(bpe, rows):
-        coded = bpe.encode([(t or b"").decode() for _, t in rows])
-        return [(d, ids := b"".join(parts), len(ids) // 4, bpe.decode(parts)) for (d, _), parts in zip(rows, coded, strict=True)]
+        coded = [b"".join(c) for c in bpe.encode([(t or b"").decode() for _, t in rows])]
+        return [(d, ids, len(ids) // 4, text) for (d, _), ids, text in zip(rows, coded, bpe.decode(coded), strict=True)]
 
     return map_groups(docs.select(F.col("doc_id").cast("long"), "text"), many, "doc_id long, ids binary, n_tokens long, decoded binary", start=lambda: ByteBPE.of(path, pattern))
 
 
+def byte_bpe_decode(coded: DataFrame, path: str, pattern: str, ids: str = "ids") -> DataFrame:
+    """(doc_id, decoded binary) of a stored column of ids; null or empty ids give no bytes, unknown ids raise."""
+
+    def many(bpe, rows):
+        return [(d, text) for (d, _), text in zip(rows, bpe.decode([bytes(c or b"") for _, c in rows]), strict=True)]
+
+    return map_groups(coded.select(F.col("doc_id").cast("long"), ids), many, "doc_id long, decoded binary", start=lambda: ByteBPE.of(path, pattern))
+
+
 def byte_bpe_digest(docs: DataFrame, path: str, pattern: str) -> DataFrame:
     """(doc_id, n_tokens, ids_sha256, decoded_sha256): the digests are taken where the ids are, so they never move."""
 
     sha = lambda b: hashlib.sha256(b).hexdigest()
 
     def many(bpe, rows):
-        coded = bpe.encode([(t or b"").decode() for _, t in rows])
-        return [(d, len(ids := b"".join(parts)) // 4, sha(ids), sha(bpe.decode(parts))) for (d, _), parts in zip(rows, coded, strict=True)]
+        coded = [b"".join(c) for c in bpe.encode([(t or b"").decode() for _, t in rows])]
+        return [(d, len(ids) // 4, sha(ids), sha(text)) for (d, _), ids, text in zip(rows, coded, bpe.decode(coded), strict=True)]
 
     return map_groups(docs.select(F.col("doc_id").cast("long"), "text"), many, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string", start=lambda: ByteBPE.of(path, pattern))
