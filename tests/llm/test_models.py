@@ -139,6 +139,27 @@ def test_layout():
     assert html_to_text(page).split("\n") == ["- one", "- two boldtext", "  1. a", "  2. b", "- three", "", "para one", "", "para two", "line", "", "a     bbb", "cccc  d", "", "x", "  y", "", "T", "    D", "", "a < b & c link"]
 
 
+def test_head_ends_where_its_content_does():
+    assert html_to_text("<head><title>t</title><p>one<p>two") == "one\n\ntwo"
+    assert html_to_text("<html><head><meta charset=x><style>p{}</style> \n loose text <b>bold</b>") == "loose text bold"
+    assert html_to_text("<head><title>t</title></head><body>x</body>") == "x"
+
+
+def test_spanning_cells():
+    page = "<table><tr><td rowspan=2>tall<td>a<td>bb<tr><td>ccc<td>d<tr><td colspan=2>both<td>e<tr><td rowspan=0>z<td>1<tr><td>2</table>after"
+    assert html_to_text(page).split("\n") == ["tall  a    bb", "      ccc  d", "both       e", "z     1", "      2", "", "after"]
+
+
+def test_no_bound_on_nesting():
+    """Tables in tables, and an end tag that closes a paragraph many levels up."""
+    deep = "<table><tr><td>a<td>" * 400 + "x"
+    text = html_to_text(deep)
+    assert text.count("a") == 400 and "x" in text
+    assert html_to_text("<p>" + "<b>" * 500 + "in</p>out") == "in\n\nout"
+    long = "<p>word &amp; " * 100_000
+    assert html_to_text(long).count("word &") == 100_000
+
+
 @pytest.mark.parametrize("page", ["", None, "<", "<<<>>>", "<p", "</p></div>", "<!-- open", "<script>open", "<table><td>x", "<td>lone", "text only", "<a href='x\" >q</a>", "<ul><ul><ul>", "<b>" * 3000 + "deep" + "</b>" * 3000, "<table>" * 60 + "x"])
 def test_broken_pages_do_not_crash(page):
     html_to_text(page)
@@ -175,6 +196,12 @@ def test_pages_against_a_plain_parser(spark, sf):
         assert not want - have and sum(extra.values()) <= sum(map(len, markers))
 
 
+def test_pages_with_clashing_columns_and_none(spark):
+    df = spark.createDataFrame([(1, "<p>x", "y", 3)], "page_id long, html string, text string, n_lines int")
+    assert [(r.page_id, r.text, r.n_lines) for r in extract_text(df).collect()] == [(1, "x", 1)]
+    assert extract_text(df.where("false")).count() == 0
+
+
 def test_null_page(spark):
     df = spark.createDataFrame([(1, None, "x"), (1, None, "x")], "page_id long, html string, text string")
     assert [(r.page_id, r.text, r.n_lines) for r in extract_text(df).collect()] == [(1, "", 0)] * 2

@@ -1,8 +1,8 @@
 """Layout-aware text of HTML pages.
 
 A tokenizer and tree builder put in the tags that authors leave out (items,
-paragraphs, rows and cells close one another); visibility rules drop what a
-browser would not show; a renderer lays the rest out: blocks on lines of their
+paragraphs, rows and cells close one another, the head ends where its content
+does); visibility rules drop what a browser would not show; a renderer lays the rest out: blocks on lines of their
 own, blank lines around paragraphs, list markers with indents, tables in
 columns of even width.
 """
@@ -12,6 +12,9 @@ from __future__ import annotations
 import hashlib
 import html
 import re
+from bisect import bisect_left
+from collections import Counter
+from itertools import accumulate
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -25,46 +28,80 @@ HIDDEN = frozenset("head script style template noscript iframe noembed noframes
 SPACED = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre ul ol dl table figure fieldset hr".split())
 BLOCK = SPACED | frozenset("html body div section article aside nav header footer main address form li dt dd tr caption thead tbody tfoot figcaption details summary legend option select center td th".split())
 CLOSES_P = (SPACED | frozenset("div section article aside nav header footer main address form details center li dt dd".split())) - {"td", "th"}
+HEAD_CONTENT = frozenset("head base basefont bgsound link meta title noscript noframes style script template".split())
+#: The standard's bounds on how many columns and rows a cell may span.
+MAX_COLSPAN, MAX_ROWSPAN = 1000, 65534
 #: name: (names that it closes when open, where the search for them ends)
 IMPLIED = {
     "li": ({"li"}, {"ul", "ol", "menu"}), "dt": ({"dt", "dd"}, {"dl"}), "dd": ({"dt", "dd"}, {"dl"}), "option": ({"option"}, {"select", "datalist"}),
     "td": ({"td", "th"}, {"tr", "table"}), "th": ({"td", "th"}, {"tr", "table"}), "tr": ({"tr"}, {"table"}),
     "tbody": ({"tbody", "thead", "tfoot"}, {"table"}), "thead": ({"tbody", "thead", "tfoot"}, {"table"}), "tfoot": ({"tbody", "thead", "tfoot"}, {"table"}),
-    "body": ({"head"}, {"html"}),
 }
 _TOKEN = re.compile(r"""<!--.*?(?:-->|\Z)|<[!?][^>]*+>?|<(/?)([A-Za-z][^\s/>]*+)((?:[^>"']|"[^"]*+"|'[^']*+')*+)>|<(/?)([A-Za-z][^\s/>]*+)([^>]*+)>""", re.S)
 _ATTR = re.compile(r"""([^\s=/"'>]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
 _WHITE = re.compile(r"[ \t\n\r\f]+")
 _NO_SHOW = re.compile(r"(?:display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse))", re.I)
-_MAX_NESTED_TABLES = 20
 
 
 class Node:
-    __slots__ = ("name", "attrs", "children")
+    __slots__ = ("name", "attrs", "children", "lines")
 
     def __init__(self, name: str, attrs: dict[str, str]):
-        self.name, self.attrs, self.children = name, attrs, []
+        self.name, self.attrs, self.children, self.lines = name, attrs, [], None
+
+
+class Open:
+    """The open elements, innermost last, with their number by name, so that a search for none costs nothing."""
+
+    def __init__(self, root: Node):
+        self.stack, self.number = [root], Counter()
+
+    def push(self, node: Node) -> None:
+        self.stack.append(node)
+        self.number[node.name] += 1
+
+    def cut(self, k: int) -> None:
+        for node in self.stack[k:]:
+            self.number[node.name] -= 1
+        del self.stack[k:]
+
+    def close(self, names: set[str], bounds: frozenset[str] | set[str]) -> None:
+        """Closes the innermost element of these names, unless one of the bounds lies further in."""
+        if not any(self.number[n] for n in names):
+            return
+        for k in range(len(self.stack) - 1, 0, -1):
+            if self.stack[k].name in names:
+                return self.cut(k)
+            if self.stack[k].name in bounds:
+                return None
+        return None
+
+    def add(self, child: Node | str) -> None:
+        """A child of the innermost element; what can't stand in the head ends it."""
+        if self.number["head"] and (child.strip() if isinstance(child, str) else child.name not in HEAD_CONTENT) and self.stack[-1].name == "head":
+            self.cut(len(self.stack) - 1)
+        self.stack[-1].children.append(child)
 
 
 def parse(source: str) -> Node:
     """The tree of a page; whatever the source, it has one."""
     root = Node("#root", {})
-    stack, at, raw_end = [root], 0, {}
+    tree, at, raw_end = Open(root), 0, {}
     for m in iter(lambda: _TOKEN.search(source, at), None):
         if m.start() > at:
-            stack[-1].children.append(html.unescape(source[at : m.start()]))
+            tree.add(html.unescape(source[at : m.start()]))
         at = m.end()
         closing, name, rest = (m[1], m[2], m[3]) if m[2] else (m[4], m[5], m[6])
         if not name:
             continue
         name = name.lower()
         if closing:
-            _close(stack, name)
+            _close(tree, name)
             continue
         attrs = {k.lower(): html.unescape(a or b or c or "") for k, a, b, c in _ATTR.findall(rest)} if rest.strip(" /") else {}
-        _imply(stack, name)
+        _imply(tree, name)
         node = Node(name, attrs)
-        stack[-1].children.append(node)
+        tree.add(node)
         if name in VOID:
             continue
         if name in RAW:
@@ -73,48 +110,29 @@ def parse(source: str) -> Node:
             node.children.append(html.unescape(text) if name in ("textarea", "title") else text)
             at = end.end() if end else len(source)
             continue
-        stack.append(node)
+        tree.push(node)
     if at < len(source):
-        stack[-1].children.append(html.unescape(source[at:]))
+        tree.add(html.unescape(source[at:]))
     return root
 
 
-def _close(stack: list[Node], name: str) -> None:
-    if name == "p" and all(n.name != "p" for n in stack[-64:]):
-        return
-    limit = {"td", "th", "table"} if name not in ("table", "tr", "td", "th", "tbody", "thead", "tfoot", "body", "html") else set() if name in ("table", "body", "html") else {"table"}
-    for k in range(len(stack) - 1, 0, -1):
-        if stack[k].name == name:
-            del stack[k:]
-            return
-        if stack[k].name in limit:
-            return
+_PARTS = frozenset("table tr td th tbody thead tfoot body html".split())
 
 
-def _imply(stack: list[Node], name: str) -> None:
-    if name in CLOSES_P:
-        for k in range(len(stack) - 1, 0, -1):
-            if stack[k].name == "p":
-                del stack[k:]
-                break
-            if stack[k].name in BLOCK:
-                break
-    if name in IMPLIED:
-        ends, bounds = IMPLIED[name]
-        for k in range(len(stack) - 1, 0, -1):
-            if stack[k].name in ends:
-                del stack[k:]
-                break
-            if stack[k].name in bounds:
-                break
-    if name in ("td", "th") and stack[-1].name in ("table", "tbody", "thead", "tfoot"):
-        _push(stack, "tr")
+def _close(tree: Open, name: str) -> None:
+    """An end tag stays within its cell; one of a part of a table stays within the table."""
+    tree.close({name}, {"td", "th", "table"} if name not in _PARTS else set() if name in ("table", "body", "html") else {"table"})
 
 
-def _push(stack: list[Node], name: str) -> None:
-    node = Node(name, {})
-    stack[-1].children.append(node)
-    stack.append(node)
+def _imply(tree: Open, name: str) -> None:
+    if name in CLOSES_P:
+        tree.close({"p"}, BLOCK)
+    if name in IMPLIED:
+        tree.close(*IMPLIED[name])
+    if name in ("td", "th") and tree.stack[-1].name in ("table", "tbody", "thead", "tfoot"):
+        row = Node("tr", {})
+        tree.add(row)
+        tree.push(row)
 
 
 def visible(node: Node) -> bool:
@@ -182,8 +200,21 @@ class Page:
         return "\n".join(self.lines).strip("\n")
 
 
-def render(root: Node, depth: int = 0) -> list[str]:
-    """Lines of a tree, without recursion but for tables within tables."""
+def layout(root: Node) -> list[str]:
+    """Lines of a page. Tables are laid out from the innermost out, so no depth of nesting needs recursion."""
+    tables, todo = [], [root]
+    while todo:
+        node = todo.pop()
+        if node.name == "table":
+            tables.append(node)
+        todo += [c for c in node.children if not isinstance(c, str)]
+    for node in reversed(tables):
+        node.lines = table_lines(node)
+    return render(root)
+
+
+def render(root: Node) -> list[str]:
+    """Lines of a tree whose tables are laid out."""
     page, pre = Page(), 0
     lists: list[list] = []
     todo: list[tuple[Node | str, bool]] = [(c, False) for c in reversed(root.children)]
@@ -211,8 +242,8 @@ def render(root: Node, depth: int = 0) -> list[str]:
                 page.block(["---"])
                 page.end(1)
                 continue
-            if name == "table" and depth < _MAX_NESTED_TABLES:
-                page.block(table_lines(node, depth))
+            if name == "table":
+                page.block(node.lines)
                 page.end(0 if lists else 1)
                 continue
             if name == "pre":
@@ -246,55 +277,74 @@ def render(root: Node, depth: int = 0) -> list[str]:
     return page.text().split("\n")
 
 
-def table_lines(table: Node, depth: int) -> list[str]:
-    """Rows as lines, cells padded to the width of their column; a cell that spans several columns counts for none."""
-    rows: list[list[tuple[list[str], int]]] = []
+def table_lines(table: Node) -> list[str]:
+    """Rows as lines, cells padded to the width of their column.
+
+    A cell that spans several columns counts for the width of none; one that
+    spans rows keeps its columns free in the rows below.
+    """
+    rows: list[list[tuple[list[str], int, int]]] = []
     out: list[str] = []
     todo = [c for c in reversed(table.children)]
     while todo:
         node = todo.pop()
         if isinstance(node, str):
             if node.strip():
-                rows.append([([_WHITE.sub(" ", node).strip()], 1)])
+                rows.append([_cell(node)])
         elif visible(node):
             if node.name == "tr":
                 cells = [c for c in node.children if not isinstance(c, str) or c.strip()]
-                rows.append([_cell(c, depth) for c in cells if isinstance(c, str) or visible(c)])
+                rows.append([_cell(c) for c in cells if isinstance(c, str) or visible(c)])
             elif node.name in ("tbody", "thead", "tfoot"):
                 todo += reversed(node.children)
             elif node.name == "caption":
-                out += [x for x in render(node, depth + 1) if x]
+                out += [x for x in render(node) if x]
             elif node.name not in ("colgroup", "col"):
-                rows.append([_cell(node, depth)])
-    rows = [r for r in rows if any(any(lines) for lines, _ in r)]
-    width: dict[int, int] = {}
+                rows.append([_cell(node)])
+    placed, busy, width = [], {}, {}
     for r in rows:
-        col = 0
-        for lines, span in r:
-            if span == 1:
-                width[col] = max(width.get(col, 0), *map(len, lines), 0)
+        col, here = 0, []
+        held = {c for c, n in busy.items() if n}
+        busy = {c: n - 1 for c, n in busy.items() if n > 1}
+        for lines, span, down in r:
+            while col in held:
+                col += 1
+            here.append((col, lines))
+            width[col] = max(width.get(col, 0), *map(len, lines), 0) if span == 1 else width.get(col, 0)
+            if down > 1:
+                busy |= {c: down - 1 for c in range(col, col + span)}
             col += span
-    for r in rows:
-        for k in range(max((len(lines) for lines, _ in r), default=0)):
-            col, parts = 0, []
-            for lines, span in r:
-                room = sum(width.get(c, 0) for c in range(col, min(col + span, col + 64))) + 2 * (span - 1)
-                parts.append((lines[k] if k < len(lines) else "").ljust(room))
-                col += span
-            out.append("  ".join(parts).rstrip())
+        if any(any(lines) for _, lines in here):
+            placed.append(here)
+    columns = sorted(width)  # those where a cell begins
+    begins = [0, *accumulate(width[c] + 2 for c in columns)]
+    for here in placed:
+        for k in range(max(len(lines) for _, lines in here)):
+            line = ""
+            for col, lines in here:
+                if k < len(lines) and lines[k]:
+                    line = line.ljust(max(begins[bisect_left(columns, col)], len(line) + 2 if line else 0)) + lines[k]
+            out.append(line.rstrip())
     return out
 
 
-def _cell(node: Node | str, depth: int) -> tuple[list[str], int]:
+def _cell(node: Node | str) -> tuple[list[str], int, int]:
+    """(lines, columns, rows) of a cell."""
     if isinstance(node, str):
-        return [_WHITE.sub(" ", node).strip()], 1
-    span = node.attrs.get("colspan", "1")
-    return render(node, depth + 1), min(max(int(span), 1), 1000) if span.isdigit() and len(span) < 5 else 1
+        return [_WHITE.sub(" ", node).strip()], 1, 1
+    down = _span(node, "rowspan", MAX_ROWSPAN)
+    return render(node), max(_span(node, "colspan", MAX_COLSPAN), 1), down or MAX_ROWSPAN
+
+
+def _span(node: Node, name: str, most: int) -> int:
+    """A span as the standard reads it: 1 if it is no number, cut to its bounds; 0 rows are all that follow."""
+    text = node.attrs.get(name, "1").strip()
+    return min(int(text[:9]), most) if text[:9].isascii() and text[:9].isdigit() else 1
 
 
 def html_to_text(source: str | None) -> str:
     """Visible text of a page, laid out; empty for a null or empty page."""
-    return "\n".join(render(parse(source))).strip("\n") if source else ""
+    return "\n".join(layout(parse(source))).strip("\n") if source else ""
 
 
 def extract_text(pages: DataFrame, id_column: str = "page_id", html_column: str = "html") -> DataFrame:
