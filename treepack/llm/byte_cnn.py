@@ -10,13 +10,14 @@ probabilities are the mean over windows, weighted by bytes.
 from __future__ import annotations
 
 from dataclasses import dataclass
+from itertools import groupby
 
 import numpy as np
 import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from treepack.llm.common import map_groups
+from treepack.llm.common import map_groups, maybe_broadcast
 
 LENGTH = 256
 WIDTHS = (2, 3, 4)
@@ -133,12 +134,24 @@ def fold(column: str, of: int):
     return F.crc32(F.col(column).cast("string").cast("binary")) % of
 
 
-def training_windows(docs: DataFrame, *, per_language: int = 500, per_text: int = 4) -> tuple[list[bytes], list[str]]:
-    """A bounded sample of labelled rows: of each language the per_language rows least by a hash of the id, and of each up to per_text windows."""
-    pool = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull())
+def _sampled_ids(pool: DataFrame, most: int) -> DataFrame:
+    """doc_id of up to `most` rows of each language, the least by a hash of the id.
+
+    The hash is even, so with the languages' counts a bound on it leaves about
+    twice as many rows as are wanted; only those meet by language.
+    """
+    counts = pool.groupBy("lang").agg(F.count("*").alias("n"))
+    counts = maybe_broadcast(counts, 100_000)
+    even = F.shiftrightunsigned(F.xxhash64("doc_id"), 1) / F.lit(float(1 << 63))
+    some = pool.select("doc_id", "lang").join(counts, "lang").where(even * F.col("n") < 2 * most + 200)
     nth = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id"))
-    ids = pool.select("doc_id", "lang").withColumn("nth", nth).where(F.col("nth") <= per_language).select("doc_id")
-    some = pool.join(F.broadcast(ids.distinct()), "doc_id", "left_semi").select("doc_id", "lang", "text")
+    return some.withColumn("nth", nth).where(F.col("nth") <= most).select("doc_id").distinct()
+
+
+def training_windows(docs: DataFrame, *, per_language: int = 500, per_text: int = 4) -> list[tuple[int, str, bytes]]:
+    """(doc_id, lang, window) of a bounded sample of labelled rows: of per_language rows of each language up to per_text windows. Rows without an id are not learnt from."""
+    pool = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text").where("doc_id is not null and lang is not null and text is not null")
+    some = pool.join(F.broadcast(_sampled_ids(pool, per_language)), "doc_id", "left_semi").select("doc_id", "lang", "text")
 
     def many(rows):
         out = []
@@ -150,17 +163,40 @@ def training_windows(docs: DataFrame, *, per_language: int = 500, per_text: int
         return out
 
     got = map_groups(some, many, "doc_id long, lang string, k int, b binary").collect()
-    got.sort(key=lambda r: (r.doc_id, r.k, r.b))
-    return [r.b for r in got], [r.lang for r in got]
+    got.sort(key=lambda r: (r.doc_id, r.k, r.lang, r.b))
+    return [(r.doc_id, r.lang, r.b) for r in got]
 
 
-def train(docs: DataFrame, **sample) -> ByteCNN | None:
-    x, y = training_windows(docs, **sample)
-    if not x:
+def fit_windows(sample: list[tuple[int, str, bytes]]) -> ByteCNN | None:
+    if not sample:
         return None
-    labels = sorted(set(y))
+    labels = sorted({lang for _, lang, _ in sample})
     at = {v: i for i, v in enumerate(labels)}
-    return ByteCNN.new(labels).fit(np.frombuffer(b"".join(x), np.uint8).reshape(-1, LENGTH), np.array([at[v] for v in y]))
+    return ByteCNN.new(labels).fit(np.frombuffer(b"".join(b for *_, b in sample), np.uint8).reshape(-1, LENGTH), np.array([at[lang] for _, lang, _ in sample]))
+
+
+def train(docs: DataFrame, **sample) -> ByteCNN | None:
+    return fit_windows(training_windows(docs, **sample))
+
+
+def train_with_limit(docs: DataFrame, share: float = 0.001, **sample) -> tuple[ByteCNN | None, float]:
+    """(net, score under which a text is in none of its languages).
+
+    One in five texts of the sample is held out; the limit lies a tenth under
+    the score that all but `share` of the held-out texts reach that are
+    recognised, so texts of the learnt languages stay.
+    """
+    got = training_windows(docs, **sample)
+    ids = sorted({d for d, *_ in got})
+    held = set(ids[::5]) if len(ids) >= 10 else set()
+    net = fit_windows([r for r in got if r[0] not in held])
+    scores = []
+    for _, rows in groupby((r for r in got if r[0] in held), key=lambda r: r[0]):
+        rows = list(rows)
+        p = net.probabilities(np.frombuffer(b"".join(b for *_, b in rows), np.uint8).reshape(-1, LENGTH)).mean(axis=0)
+        if net.labels[int(p.argmax())] == rows[0][1]:
+            scores.append(float(p.max()))
+    return net, 0.9 * float(np.quantile(scores, share)) if scores else 0.0
 
 
 def language_id(docs: DataFrame, net: ByteCNN | None) -> DataFrame:

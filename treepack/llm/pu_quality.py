@@ -5,8 +5,9 @@ all web text. With class prior p the risk of calling unlabelled text bad, less
 p times the same risk on positives, estimates the risk on true negatives. It
 can't be below zero, so where a batch's estimate is, the step goes the other
 way: that keeps a flexible model from pushing the estimate below zero by
-fitting the positives it has seen. The prior is the share of good rows among
-the labelled ones. The scorer is a small network over shape statistics and the
+fitting the positives it has seen. The prior is estimated from the two samples:
+where a score tells positives best, the share of unlabelled text above it over
+that of positives bounds the prior from above. The scorer is a small network over shape statistics and the
 byte histogram of the whole text.
 """
 
@@ -100,23 +101,60 @@ def fit(positive: np.ndarray, unlabelled: np.ndarray, prior: float, *, hidden: i
     return net
 
 
+def estimate_prior(positive: np.ndarray, unlabelled: np.ndarray, *, folds: int = 2, steps: int = 300, rate: float = 0.05, seed: int = 3) -> float:
+    """Share of positives in unlabelled text, from positives and unlabelled text alone.
+
+    A logistic model tells the two samples apart, fitted on one part and applied
+    to the other. For every threshold the unlabelled share above it is at least
+    the prior times the positive share above it; the least such ratio over
+    thresholds that half of the positives pass, where shares are well known, is
+    the estimate, and the mean over the parts what is returned.
+    """
+    rng, ratio = np.random.default_rng(seed), []
+    mean, scale = unlabelled.mean(0), unlabelled.std(0) + 1e-2
+    p, u = (positive - mean) / scale, (unlabelled - mean) / scale
+    part_p, part_u = rng.integers(0, folds, len(p)), rng.integers(0, folds, len(u))
+    for k in range(folds):
+        xp, xu, hp, hu = p[part_p != k], u[part_u != k], p[part_p == k], u[part_u == k]
+        if not (len(xp) and len(xu) and len(hp) and len(hu)):
+            continue
+        x = np.concatenate([xp, xu])
+        weight = np.concatenate([np.full(len(xp), 0.5 / len(xp)), np.full(len(xu), 0.5 / len(xu))])
+        y = np.concatenate([np.ones(len(xp)), np.zeros(len(xu))])
+        w, c = np.zeros(x.shape[1]), 0.0
+        m, v = np.zeros(len(w) + 1), np.zeros(len(w) + 1)
+        for t in range(1, steps + 1):
+            off = weight * (1 / (1 + np.exp(-np.clip(x @ w + c, -30, 30))) - y)
+            g = np.append(x.T @ off + 1e-3 * w, off.sum())
+            m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g**2
+            step = rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
+            w, c = w - step[:-1], c - step[-1]
+        sp, su = np.sort(hp @ w), np.sort(hu @ w)
+        ratio.append([])
+        for at in np.quantile(sp, np.linspace(0.01, 0.5, 50)):
+            a, b = 1 - np.searchsorted(sp, at) / len(sp), 1 - np.searchsorted(su, at) / len(su)
+            if a > 0:
+                ratio[-1].append(b / a)
+    least = [min(r) for r in ratio if r]
+    return float(np.clip(np.mean(least), 0.01, 0.99)) if least else 0.5
+
+
 def _sampled(docs: DataFrame, ids: DataFrame, rows: int) -> np.ndarray:
     """Features of the texts of at most `rows` ids, the least by a hash; in the order of that hash."""
     some = ids.select("doc_id").distinct().orderBy(F.xxhash64("doc_id", F.lit(1)), "doc_id").limit(rows)
-    text = docs.join(F.broadcast(some), "doc_id", "left_semi").select(F.col("doc_id").cast("long"), "text")
+    text = docs.select("doc_id", "text").join(F.broadcast(some), "doc_id", "left_semi").select(F.col("doc_id").cast("long"), "text")
     got = map_groups(text, lambda part: [(d, features(t).tobytes()) for d, t in part], "doc_id long, x binary").collect()
     got.sort(key=lambda r: (r.doc_id, r.x))
     return np.frombuffer(b"".join(r.x for r in got), np.float32).reshape(-1, WIDTH).astype(np.float64)
 
 
 def train(docs: DataFrame, labels: DataFrame, *, positives: int = 4000, unlabelled: int = 8000) -> Scorer | None:
-    """A scorer from labels(doc_id, quality) and docs. Bounds are on rows learnt from; the prior is taken over all labels."""
-    known = labels.where(F.col("quality").isNotNull())
-    prior = known.agg(F.avg((F.col("quality") == 1).cast("double"))).first()[0]
+    """A scorer from labels(doc_id, quality), of which only the rows with quality 1 are used, and docs. Bounds are on the rows learnt from; None without positives or text."""
+    known = labels.where("quality = 1 and doc_id is not null")
     docs = docs.where(F.col("doc_id").isNotNull())
-    p = _sampled(docs, known.where("quality = 1"), positives)
+    p = _sampled(docs, known, positives)
     u = _sampled(docs, docs, unlabelled)
-    return fit(p, u, min(max(prior, 0.01), 0.99)) if len(p) and len(u) else None
+    return fit(p, u, estimate_prior(p, u)) if len(p) and len(u) else None
 
 
 def quality_scores(docs: DataFrame, net: Scorer | None, threshold: float = 0.3) -> DataFrame:
