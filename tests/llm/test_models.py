@@ -8,7 +8,6 @@ import pytest
 
 from treepack.llm import byte_cnn, matroska, pii, pu_quality, stages
 from treepack.llm.html_text import extract_text, html_to_text
-from treepack.llm.simhash import shingle_hashes
 
 # --- personal data -------------------------------------------------------------------
 
@@ -269,25 +268,3 @@ def test_stages_take_effect_and_keep_columns(spark):
     assert masked.count() == similar.count() and masked.where("text like '%a@b.com%'").count() == 0
     for f in (stages.keep_known_languages, stages.keep_one_of_equal, stages.keep_one_of_similar, stages.mask_personal_data):
         assert f(docs.where("false")).count() == 0
-
-
-def test_similarity_stage_against_jaccard(spark):
-    """Pairs well over the limit are found, pairs well under it are left alone."""
-    from treepack.llm.simhash import similar_dedup
-
-    rnd = random.Random(9)
-    words = [f"w{k}" for k in range(500)]
-    rows, sets = [], {}
-    for k in range(40):
-        base = [rnd.choice(words) for _ in range(250)]
-        for j, edits in enumerate((0, 2, 60)):
-            t = list(base)
-            for _ in range(edits):
-                t[rnd.randrange(250)] = rnd.choice(words)
-            rows.append((10 * k + j, " ".join(t)))
-            sets[10 * k + j] = set(shingle_hashes(rows[-1][1].encode(), 5).tolist())
-    got = {r.doc_id: r.component_id for r in similar_dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
-    for a in sets:
-        for b in sets:
-            s = len(sets[a] & sets[b]) / len(sets[a] | sets[b])
-            assert not (s >= 0.9 and got[a] != got[b]) and not (s < 0.6 and got[a] == got[b])
