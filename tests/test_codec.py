@@ -124,3 +124,44 @@ def test_timing_protocol_on_a_false_clock():
     calls = []
     assert bench.measure(lambda: calls.append(1), clock=lambda: next(ticks)) == pytest.approx(5.0, abs=0.3)
     assert 20 <= len(calls) <= 40 and len(bench.replicated(b"ab")) >= 1 << 20
+
+
+def test_every_decoder_gives_the_same_blocks():
+    """Levels decoded at once, two halves in turn, and merges that take coded bitmaps, next to the plain decoders."""
+    rng = np.random.default_rng(5)
+    data = np.minimum(11, rng.geometric(0.72, 70_000) - 1).astype(np.uint8)
+    data[30_000:50_000] = rng.integers(0, 9, 20_000)
+    raws = [data[a:b].tobytes() for a, b in ((0, 8192), (8192, 8193), (8193, 8193), (8193, 29_000), (29_000, 52_000), (52_000, 52_300), (52_300, 70_000))]
+    n, lengths = [len(r) for r in raws], cb.pack_lengths(cb.fit_lengths(np.bincount(data, minlength=256)))
+    some_coded = 0
+    for shape in ("naive", "flat", "flat_opt"):
+        plain = codec.encode_batch(raws, lengths, shape)
+        assert codec.decode_batch(plain, n, lengths, shape, "topdown_interleaved") == raws
+        for some in (1, 2, 5):
+            assert codec.decode_batch(plain[:some], n[:some], lengths, shape, "topdown_interleaved") == raws[:some]
+        for how in ({}, {"prefill": False, "fuse": False}):
+            assert codec.decode_batch(plain, n, lengths, shape, "topdown", root_levels=True, **how) == raws
+        for gates in (Gates(), Gates(min_skew=0.5, max_cost_ratio=1.0), Gates(scope="stream"), Gates(cursors=2), Gates(span=2)):
+            marks: list = []
+            coded = codec.encode_batch(raws, lengths, shape, gates, np.bincount(data, minlength=256), markers=marks)
+            some_coded += any(m[4] for m in marks)
+            assert codec.decode_batch(coded, n, lengths, shape, "bottomup_fused", gates) == raws
+            assert codec.decode_batch(coded, n, lengths, shape, "bottomup", gates) == raws
+    assert some_coded >= 9
+
+
+def test_many_books_meet_their_blocks_by_salts(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    from treepack.operators import blocks as ob
+    from treepack.operators import stats
+    from treepack.sources.streams import to_blocks
+
+    values = spark.createDataFrame([("a" if k % 3 else "b", k, bytearray(f"text {k} " * 50, "ascii")) for k in range(60)], "stream_id string, value_id long, raw binary")
+    hist = stats.byte_histogram(values)
+    books = stats.codebooks(hist)
+    monkeypatch.setattr(ob, "small", lambda df: df)
+    enc = ob.encode_blocks(to_blocks(values), books, gates=Gates(scope="stream"), hist=hist)
+    back = ob.decode_blocks(enc, gates=Gates(scope="stream")).groupBy().agg(F.count("*").alias("n"), F.sum(F.crc32("raw")).alias("s")).first()
+    want = values.groupBy().agg(F.count("*").alias("n"), F.sum(F.crc32("raw")).alias("s")).first()
+    assert tuple(back) == tuple(want)

@@ -114,13 +114,10 @@ def encode(data: np.ndarray, sizes: np.ndarray, table: np.ndarray, tables: Table
     return [raw[e - b : e] for b, e in zip(nbytes.tolist(), ends.tolist(), strict=True)]
 
 
-def decode(streams: list[bytes], sizes: np.ndarray, table: np.ndarray, tables: Tables, cursors: int = CURSORS, unroll: int = 1) -> np.ndarray:
-    """The bytes of all streams, end to end. unroll: steps whose symbols are stored together."""
+def decode_steps(streams: list[bytes], sizes: np.ndarray, table: np.ndarray, tables: Tables, cursors: int = CURSORS, unroll: int = 1):
+    """Yields (streams x bytes) parts of all streams in step, in order; what lies past the end of a stream means nothing."""
     sizes, table = np.asarray(sizes, np.int64), np.asarray(table, np.int64)
     n, size, log = len(sizes), 1 << tables.log, tables.log
-    out = np.zeros(int(sizes.sum()), np.uint8)
-    if not n:
-        return out
     lens = np.array([len(s) for s in streams], np.int64)
     data = np.frombuffer(b"".join(streams) + b"\0\0\0\0", np.uint8).astype(np.int64)
     word = data[:-3] | data[1:-2] << 8 | data[2:-1] << 16
@@ -131,7 +128,6 @@ def decode(streams: list[bytes], sizes: np.ndarray, table: np.ndarray, tables: T
     state = (word[np.minimum(at >> 3, len(word) - 1)] >> (at & 7)) & (size - 1)
     pos = pos + cursors * log
     steps, row = int(-(-sizes.max() // cursors)), table[:, None] * size
-    kept = np.zeros((n, steps, cursors), np.uint8)
     whole = int(sizes.min()) // cursors  # as long as all lanes live, nothing needs a mask
     for t0 in range(0, steps, unroll):
         part = []
@@ -146,6 +142,13 @@ def decode(streams: list[bytes], sizes: np.ndarray, table: np.ndarray, tables: T
             state = flat_base[k] + ((word[np.minimum(at >> 3, len(word) - 1)] >> (at & 7)) & ((1 << nb) - 1))
             state &= size - 1
             pos = pos + ends[:, -1]
-        kept[:, t0 : t0 + len(part)] = np.stack(part, axis=1)
-    ok = np.arange(steps * cursors)[None, :] < sizes[:, None]
-    return kept.reshape(n, -1)[ok]
+        yield np.stack(part, axis=1).astype(np.uint8).reshape(n, -1)
+
+
+def decode(streams: list[bytes], sizes: np.ndarray, table: np.ndarray, tables: Tables, cursors: int = CURSORS, unroll: int = 1) -> np.ndarray:
+    """The bytes of all streams, end to end. unroll: steps whose symbols are stored together."""
+    sizes = np.asarray(sizes, np.int64)
+    if not sizes.sum():
+        return np.zeros(0, np.uint8)
+    kept = np.concatenate(list(decode_steps(streams, sizes, table, tables, cursors, unroll)), axis=1)
+    return kept[np.arange(kept.shape[1])[None, :] < sizes[:, None]]

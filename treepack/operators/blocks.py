@@ -43,32 +43,59 @@ def encode_blocks(blocks: DataFrame, books: DataFrame, on: tuple[str, ...] = ("s
     hist: stream counts, needed for gates of stream scope.
     """
     keys = [c for c in blocks.columns if c != "raw"]
-    counts = {} if hist is None else _counts(hist)
-    encoder = encoder or (lambda raws, lengths, sid=None: codec.encode_batch(raws, lengths, shape, gates, counts.get(sid)))
-    use_counts = bool(counts)
-    joined = blocks.join(small(books), list(on))
+    joined = _with_books(blocks, books, list(on))
+    extra = []
+    if hist is not None:
+        joined, extra = _with_books(joined, _counts(hist), ["stream_id"], "left"), ["_syms", "_cnts"]
 
     def run(batches):
         for b in batches:
             raws = b.column("raw").to_pylist()
-            ids = b.column("stream_id").to_pylist() if use_counts else None
+            ids = b.column("stream_id").to_pylist() if extra else [None] * len(raws)
             payload: list = [None] * len(raws)
-            for book, rows in _by_book(b):
-                args = (ids[rows[0]],) if use_counts else ()
-                for i, p in zip(rows, encoder([raws[i] for i in rows], book, *args), strict=True):
-                    payload[i] = p
+            for book, part in _by_book(b):
+                for sid in dict.fromkeys(ids[i] for i in part):
+                    rows = [i for i in part if ids[i] == sid]
+                    some = [raws[i] for i in rows]
+                    if encoder:
+                        got = encoder(some, book)
+                    else:
+                        got = codec.encode_batch(some, book, shape, gates, _array(b, rows[0]) if extra else None)
+                    for i, p in zip(rows, got, strict=True):
+                        payload[i] = p
             crc = pa.array([zlib.crc32(r) for r in raws], pa.int64())
             yield pa.RecordBatch.from_arrays([*(b.column(k) for k in keys), b.column("codebook_id"), b.column("lengths"), pa.array(payload, pa.binary()), crc], names=[*keys, "codebook_id", "lengths", "payload", "crc"])
 
     ddl = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in blocks.select(*keys).schema.fields), "codebook_id long, lengths binary, payload binary, crc long"])
-    return joined.select(*keys, "codebook_id", "lengths", "raw").mapInArrow(run, ddl)
+    return joined.select(*keys, "codebook_id", "lengths", "raw", *extra).mapInArrow(run, ddl)
+
+
+#: Parts that the blocks of one key are dealt to where the other side is too large to broadcast.
+SALTS = 64
+
+
+def _with_books(blocks: DataFrame, books: DataFrame, on: list[str], how: str = "inner") -> DataFrame:
+    """blocks joined with a row per key: broadcast while small, else by salted keys, so no key's blocks meet in one task."""
+    side = small(books)
+    if side is not books:
+        return blocks.join(side, on, how)
+    salted = blocks.withColumn("_salt", F.pmod(F.xxhash64("value_id", "block_no"), F.lit(SALTS)))
+    dealt = books.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    return salted.join(dealt, [*on, "_salt"], how).drop("_salt")
+
+
+def _counts(hist: DataFrame) -> DataFrame:
+    """(stream_id, _syms, _cnts): at most 256 of each stream in one row."""
+    rows = hist.groupBy("stream_id").agg(F.array_sort(F.collect_list(F.struct("sym", F.col("cnt").cast("long").alias("cnt")))).alias("r"))
+    return rows.select("stream_id", F.transform("r", lambda x: x["sym"].cast("int")).alias("_syms"), F.transform("r", lambda x: x["cnt"]).alias("_cnts"))
 
 
-def _counts(hist: DataFrame) -> dict[str, np.ndarray]:
-    """Counts of each stream; at most 256 rows a stream, of named streams."""
-    out: dict[str, np.ndarray] = {}
-    for r in hist.select("stream_id", "sym", "cnt").toLocalIterator():
-        out.setdefault(r["stream_id"], np.zeros(256, np.int64))[r["sym"]] = r["cnt"]
+def _array(batch: pa.RecordBatch, row: int) -> np.ndarray | None:
+    syms, cnts = batch.column("_syms")[row].as_py(), batch.column("_cnts")[row].as_py()
+    if syms is None:
+        return None
+    out = np.zeros(256, np.int64)
+    out[syms] = cnts
     return out
 
 

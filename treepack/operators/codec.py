@@ -53,29 +53,29 @@ def encode_batch(raws: list[bytes], lengths: bytes, shape: str = "flat_opt", gat
         return [(0).to_bytes(4, "little") for _ in raws]
     chosen = stream_choice(root, counts, gates, block_size) if gates and gates.scope == "stream" and counts is not None else None
     sections: list[tuple[np.ndarray, np.ndarray]] = []
-    side = {p: np.zeros(256, bool) for p in (x.prefix for x in root.walk() if x.inner)}
-    index = {x.prefix: np.zeros(256, np.uint8) for x in root.walk() if x.flat}
+    # a symbol's path through the tree, from the top bit of 16 down; a flat node's own bits follow those that lead to it
+    code = np.zeros(256, np.uint16)
     for s, (prefix, i, d) in paths(root).items():
-        for k, bit in enumerate(prefix):
-            side[prefix[:k]][s] = bit == "1"
-        if d:
-            index[prefix][s] = i
+        code[s] = (int(prefix or "0", 2) << d | i) << (16 - len(prefix) - d)
 
-    def go(node: Node, syms: np.ndarray, count: np.ndarray) -> None:
-        if node.leaf or not len(syms):
+    def go(node: Node, codes: np.ndarray, count: np.ndarray) -> None:
+        if node.leaf or not len(codes):
             return
+        depth = len(node.prefix)
         if node.flat:
-            sections.append(kernels.pack_codes(index[node.prefix].take(syms), node.d, count))
+            own = (codes >> np.uint16(16 - depth - node.d) & np.uint16((1 << node.d) - 1)).astype(np.uint8)
+            sections.append(kernels.pack_codes(own, node.d, count))
             return
-        bits = side[node.prefix].take(syms)
+        keep = "none" if node.two_leaves else "right" if node.left.leaf else "left" if node.right.leaf else "full"
+        bits, left, rest = kernels.enc_partition(codes, 15 - depth, keep)
         right = block_sums(bits, count)
         sections.extend(_inner_sections(node, bits, count, right, gates, chosen, markers))
-        if not node.left.leaf:
-            go(node.left, syms[np.flatnonzero(bits == 0)], count - right)
-        if not node.right.leaf:
-            go(node.right, syms[np.flatnonzero(bits)], right)
+        if left is not None:
+            go(node.left, left, count - right)
+        if rest is not None:
+            go(node.right, rest, right)
 
-    go(root, data, n)
+    go(root, code.take(data), n)
     body = sum((size for _, size in sections), np.zeros(len(raws), np.int64))
     begin = offsets(body)
     out, at = np.empty(int(body.sum()), np.uint8), begin.copy()
@@ -190,8 +190,11 @@ def run_lengths(p: np.ndarray) -> bytes:
 # --- reading -----------------------------------------------------------------
 
 
-def read_nodes(payloads: list[bytes], n: np.ndarray, root: Node, gates: Gates | None = None) -> dict[str, tuple[np.ndarray, np.ndarray]]:
-    """prefix -> (bits or codes of all blocks, count per block), walking all blocks' nodes in step."""
+def read_nodes(payloads: list[bytes], n: np.ndarray, root: Node, gates: Gates | None = None, fuse: bool = False) -> dict[str, tuple]:
+    """prefix -> (bits or codes of all blocks, count per block), walking all blocks' nodes in step.
+
+    fuse: bitmaps that are coded stay so (CodedBits), where the walk needs no bits to go on.
+    """
     buffer = np.frombuffer(b"".join(payloads) + b"\0\0\0\0", np.uint8)
     lens = np.array([len(p) for p in payloads], np.int64)
     end = np.cumsum(lens)
@@ -220,10 +223,12 @@ def read_nodes(payloads: list[bytes], n: np.ndarray, root: Node, gates: Gates |
         marker = np.zeros(len(count), np.int64)
         marker[used] = take(used.astype(np.int64))
         size = (count + 7) // 8
-        if not marker.any():
-            plain = take(size)
-        else:
-            plain = _uncode(take, buffer, lambda: at, size, marker, gates)
+        if marker.any() and fuse and gates.coder == "tans" and (node.counted or node.two_leaves):
+            out[node.prefix] = _still_coded(take, size, marker, gates, count, right), count
+            go(node.left, count - right)
+            go(node.right, right)
+            return
+        plain = _uncode(take, size, marker, gates) if marker.any() else take(size)
         bits = kernels.unpack_bits(plain, count)
         out[node.prefix] = bits, count
         if not node.counted:
@@ -239,16 +244,22 @@ def read_nodes(payloads: list[bytes], n: np.ndarray, root: Node, gates: Gates |
     return out
 
 
-def _uncode(take, buffer, now, size, marker, gates: Gates) -> np.ndarray:
+def _coded_parts(take, size: np.ndarray, marker: np.ndarray) -> tuple[np.ndarray, list[bytes], np.ndarray, np.ndarray]:
+    """(blocks whose bitmap is coded, their streams, the others, their bytes end to end)."""
     coded = marker > 0
     if ((marker & 0x7F)[coded] > 50).any() or ((marker & 0x7F)[coded] == 0).any():
         raise CorruptBlock("unknown table")
     length = np.zeros(len(size), np.int64)
     length[coded] = take(np.where(coded, 2, 0)).view("<u2")
-    got = take(np.where(coded, length, size))
-    begin = offsets(np.where(coded, length, size))
-    which = np.flatnonzero(coded)
+    length = np.where(coded, length, size)
+    got, begin = take(length), offsets(length)
+    which, plain = np.flatnonzero(coded), np.flatnonzero(~coded)
     streams = [got[begin[b] : begin[b] + length[b]].tobytes() for b in which.tolist()]
+    return which, streams, plain, got[spread(size[plain], begin[plain])]
+
+
+def _uncode(take, size: np.ndarray, marker: np.ndarray, gates: Gates) -> np.ndarray:
+    which, streams, plain, rest = _coded_parts(take, size, marker)
     if gates.coder == "tans":
         data = fsm.decode(streams, size[which], (marker[which] & 0x7F) - 1, fsm.static_tables(gates.table_log), gates.cursors)
     elif gates.coder == "custom_tans":
@@ -261,13 +272,64 @@ def _uncode(take, buffer, now, size, marker, gates: Gates) -> np.ndarray:
     data = np.where(flip, ~data, data)
     out = np.empty(int(size.sum()), np.uint8)
     out[spread(size[which], offsets(size)[which])] = data
-    plain = np.flatnonzero(~coded)
-    out[spread(size[plain], offsets(size)[plain])] = got[spread(size[plain], begin[plain])]
+    out[spread(size[plain], offsets(size)[plain])] = rest
     return out
 
 
+class CodedBits:
+    """A node's bitmaps of which some are still coded: merging decodes them a few bytes of every block at a time and never holds them whole."""
+
+    def __init__(self, which, streams, plain, rest, size, marker, gates: Gates, count, right):
+        self.which, self.streams, self.plain, self.rest, self.size, self.marker, self.gates, self.count, self.right = which, streams, plain, rest, size, marker, gates, count, right
+
+    def merge(self, left: np.ndarray | int, right: np.ndarray | int) -> np.ndarray:
+        """The children's symbols (an array, or a constant) in the order of the bits."""
+        out, begin = np.empty(int(self.count.sum()), np.uint8), offsets(self.count)
+        from_left, from_right = (None if np.isscalar(x) else offsets(n) for x, n in ((left, self.count - self.right), (right, self.right)))
+        if len(self.plain):
+            n = self.count[self.plain]
+            bits = kernels.unpack_bits(self.rest, n)
+            sides = [x if np.isscalar(x) else x[spread(k[self.plain], at[self.plain])] for x, k, at in ((left, self.count - self.right, from_left), (right, self.right, from_right))]
+            out[spread(n, begin[self.plain])] = _merged(bits, *sides)
+        if len(self.which):
+            n, at = self.count[self.which], begin[self.which].copy()
+            end = at + n
+            taken = [None if x is None else x[self.which].copy() for x in (from_left, from_right)]
+            flip = np.where((self.marker[self.which] & 0x80) > 0, 0xFF, 0).astype(np.uint8)[:, None]
+            tables = fsm.static_tables(self.gates.table_log)
+            for part in fsm.decode_steps(self.streams, self.size[self.which], (self.marker[self.which] & 0x7F) - 1, tables, self.gates.cursors, 8):
+                bits = np.unpackbits(part ^ flip, axis=1, bitorder="little").view(bool)
+                live = at[:, None] + np.arange(bits.shape[1]) < end[:, None]
+                sides = []
+                for value, where, on in ((left, taken[0], ~bits & live), (right, taken[1], bits & live)):
+                    if where is None:
+                        sides.append(np.uint8(value))
+                        continue
+                    step = np.cumsum(on, axis=1)
+                    index = where[:, None] + step - 1
+                    if len(value) == 0 or (on & (index >= len(value))).any():
+                        raise CorruptBlock("a bitmap takes more symbols than there are")
+                    sides.append(value[np.clip(index, 0, len(value) - 1)])
+                    where += step[:, -1]
+                merged = np.where(bits, sides[1], sides[0])
+                out[(at[:, None] + np.arange(bits.shape[1]))[live]] = merged[live]
+                at += bits.shape[1]
+        return out
+
+
+def _still_coded(take, size, marker, gates: Gates, count, right) -> CodedBits:
+    return CodedBits(*_coded_parts(take, size, marker), size, marker, gates, count, right)
+
+
+def _merged(bits: np.ndarray, left: np.ndarray | int, right: np.ndarray | int) -> np.ndarray:
+    if np.isscalar(left):
+        return kernels.merge_cst_cst(bits, left, right) if np.isscalar(right) else kernels.merge_cst_vec(bits, left, right)
+    return kernels.merge_vec_cst(bits, left, right) if np.isscalar(right) else kernels.merge_vec_vec(bits, left, right)
+
+
 def decode_batch(payloads: list[bytes], sizes: list[int], lengths: bytes, shape: str = "flat_opt", decoder: str = "bottomup", gates: Gates | None = None, **how) -> list[bytes]:
-    """The blocks' symbols. decoder: bottomup (merges) or topdown (partitions and scatters)."""
+    """The blocks' symbols. decoder: bottomup (merges), bottomup_fused (merges take coded bitmaps as they are decoded),
+    topdown (partitions and scatters) or topdown_interleaved (of two halves of the blocks in turn)."""
     out: list[bytes | None] = [None] * len(payloads)
     root, todo = shape_of(lengths, shape), []
     for k, p in enumerate(payloads):
@@ -284,8 +346,13 @@ def decode_batch(payloads: list[bytes], sizes: list[int], lengths: bytes, shape:
             todo.append(k)
     if todo:
         n = np.array([sizes[k] for k in todo], np.int64)
-        nodes = read_nodes([payloads[k] for k in todo], n, root, gates)
-        flat = (decode_bottomup(root, nodes, n) if decoder == "bottomup" else decode_topdown(root, nodes, n, lengths, **how)).tobytes()
+        if decoder == "topdown_interleaved":
+            half = len(todo) // 2
+            parts = [(read_nodes([payloads[k] for k in some], m, root, gates), m) for some, m in ((todo[:half], n[:half]), (todo[half:], n[half:])) if some]
+            flat = b"".join(x.tobytes() for x in decode_interleaved(root, parts, lengths, **how))
+        else:
+            nodes = read_nodes([payloads[k] for k in todo], n, root, gates, fuse=decoder == "bottomup_fused")
+            flat = (decode_topdown(root, nodes, n, lengths, **how) if decoder == "topdown" else decode_bottomup(root, nodes, n)).tobytes()
         for k, b, size in zip(todo, offsets(n).tolist(), n.tolist(), strict=True):
             out[k] = flat[b : b + size]
     for k, (o, size) in enumerate(zip(out, sizes, strict=True)):
@@ -306,42 +373,92 @@ def decode_bottomup(root: Node, nodes: dict, n: np.ndarray) -> np.ndarray:
         if node.flat:
             return kernels.merge_flat(bits, np.array(node.symbols, np.uint8))
         left, right = up(node.left), up(node.right)
-        if node.left.leaf:
-            return kernels.merge_cst_cst(bits, left, right) if node.right.leaf else kernels.merge_cst_vec(bits, left, right)
-        return kernels.merge_vec_cst(bits, left, right) if node.right.leaf else kernels.merge_vec_vec(bits, left, right)
+        return bits.merge(left, right) if isinstance(bits, CodedBits) else _merged(bits, left, right)
 
     return up(root)
 
 
-def decode_topdown(root: Node, nodes: dict, n: np.ndarray, lengths: bytes, prefill: bool = True, fuse: bool = True, impl: str = "vector") -> np.ndarray:
+def decode_topdown(root: Node, nodes: dict, n: np.ndarray, lengths: bytes, **how) -> np.ndarray:
     """Lists of output positions flow down: inner nodes partition them, leaves scatter their symbol to them."""
+    out = np.empty(int(n.sum()), np.uint8)
+    for _ in topdown_steps(root, nodes, out, lengths, **how):
+        pass
+    return out
+
+
+def decode_interleaved(root: Node, parts: list[tuple[dict, np.ndarray]], lengths: bytes, **how) -> list[np.ndarray]:
+    """Top-down decoding of several groups of blocks, a kernel of each in turn, so that one's scatters run between another's partitions."""
+    outs = [np.empty(int(n.sum()), np.uint8) for _, n in parts]
+    going = []
+    for (nodes, _), out in zip(parts, outs, strict=True):
+        going.append(topdown_steps(root, nodes, out, lengths, **how))
+        going = [g for g in going if next(g, None) is not None]  # those that began before are one kernel ahead
+    while going:
+        going = [g for g in going if next(g, None) is not None]
+    return outs
+
+
+def topdown_steps(root: Node, nodes: dict, out: np.ndarray, lengths: bytes, prefill: bool = True, fuse: bool = True, impl: str = "vector", root_levels: bool = False):
+    """Fills out, and yields the kind of each kernel once it has run.
+
+    prefill: the most frequent leaf is a constant written first. fuse: one
+    scatter for a node of two leaves. root_levels: all levels above the first
+    leaf are decoded at once, by a split into as many lists as they have paths.
+    """
     from treepack.plans.shape import most_frequent_leaf
 
-    total = int(n.sum())
+    total = len(out)
     free = most_frequent_leaf(root, unpack_lengths(lengths)) if prefill else None
-    common = next((x.symbols[0] for x in root.walk() if x.prefix == free and x.leaf), 0)
-    out = np.full(total, common, np.uint8)
+    out[:] = next((x.symbols[0] for x in root.walk() if x.prefix == free and x.leaf), 0)
+    yield "fill"
 
-    def down(node: Node, idx: np.ndarray | None) -> None:
+    def down(node: Node, idx: np.ndarray | None):
         if node.leaf:
             if node.prefix != free:
-                kernels.scatter_one(out, idx, node.symbols[0])
+                kernels.scatter_one(out, np.arange(total) if idx is None else idx, node.symbols[0])
+                yield "scatter"
             return
         if node.prefix not in nodes:
             return
         bits, _ = nodes[node.prefix]
         if node.flat:
             kernels.scatter_flat(out, np.arange(total) if idx is None else idx, bits, np.array(node.symbols, np.uint8))
+            yield "scatter"
         elif fuse and node.two_leaves:
             kernels.scatter_two(out, np.arange(total) if idx is None else idx, bits, node.left.symbols[0], node.right.symbols[0])
+            yield "scatter"
         elif node.left.prefix == free or node.right.prefix == free:
             side = node.left.prefix == free
             part = np.flatnonzero(bits if side else bits == 0) if idx is None else kernels.partition_half(bits, idx, side)
-            down(node.right if side else node.left, part)
+            yield "partition"
+            yield from down(node.right if side else node.left, part)
         else:
             left, right = kernels.partition_root(bits) if idx is None else kernels.partition(bits, idx, impl)
-            down(node.left, left)
-            down(node.right, right)
+            yield "partition"
+            yield from down(node.left, left)
+            yield from down(node.right, right)
 
-    down(root, None)
+    levels = min(len(x.prefix) for x in root.walk() if not x.inner) if root_levels else 0
+    if not levels:
+        yield from down(root, None)
+        return
+    below = [root]
+    for _ in range(levels):
+        below = [child for node in below for child in (node.left, node.right)]
+    lists = kernels.split_ways(_ways(root, nodes, levels), len(below))
+    yield "split"
+    for node, idx in zip(below, lists, strict=True):
+        yield from down(node, idx)
+
+
+def _ways(node: Node, nodes: dict, levels: int) -> np.ndarray:
+    """The next `levels` bits of every symbol of a node as one number, from the bitmaps of those levels."""
+    if node.prefix not in nodes:
+        return np.zeros(0, np.uint16)
+    bits, _ = nodes[node.prefix]
+    if levels == 1:
+        return bits.astype(np.uint16)
+    out = np.empty(len(bits), np.uint16)
+    out[np.flatnonzero(~bits)] = _ways(node.left, nodes, levels - 1)
+    out[np.flatnonzero(bits)] = _ways(node.right, nodes, levels - 1) | np.uint16(1 << (levels - 1))
     return out

@@ -24,7 +24,8 @@ def _scan(enc: DataFrame, ddl: str, names: list[str], one, shape: str) -> DataFr
             for book, part in _by_book(b):
                 root = shape_of(book, shape)
                 plain = [i for i in part if root is None or int.from_bytes(payload[i][:4], "little") & codec.RAW]
-                coded = [i for i in part if i not in set(plain)]
+                as_is = set(plain)
+                coded = [i for i in part if i not in as_is]
                 if coded:
                     size = np.array([n[i] for i in coded], np.int64)
                     for i, got in zip(coded, one(codec.read_nodes([payload[i] for i in coded], size, root), root, size, None), strict=True):

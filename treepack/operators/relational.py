@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from treepack.sources.tables import small, staged
+
 BLOCK = ["stream_id", "value_id", "block_no"]
 
 
@@ -16,7 +18,7 @@ def symbols(blocks: DataFrame) -> DataFrame:
 
 def pivot(sym_df: DataFrame, code_df: DataFrame) -> DataFrame:
     """(block, prefix, idx, bit): every bit of every code at its tree node, numbered within the node."""
-    bits = sym_df.join(F.broadcast(code_df), ["stream_id", "sym"]).select(*BLOCK, "pos", "code", F.explode(F.sequence(F.lit(0), F.col("len") - 1)).alias("d"))
+    bits = sym_df.join(small(code_df), ["stream_id", "sym"]).select(*BLOCK, "pos", "code", F.explode(F.sequence(F.lit(0), F.col("len") - 1)).alias("d"))
     bits = bits.select(*BLOCK, "pos", F.expr("substring(code, 1, d)").alias("prefix"), F.expr("cast(substring(code, d + 1, 1) as int)").alias("bit"))
     idx = F.row_number().over(Window.partitionBy(*BLOCK, "prefix").orderBy("pos")) - 1
     return bits.select(*BLOCK, "prefix", idx.alias("idx"), "bit")
@@ -33,13 +35,15 @@ def decode_topdown(pivot_df: DataFrame, code_df: DataFrame, max_len: int) -> Dat
     by = [*BLOCK, "prefix"]
     w = Window.partitionBy(*by, "bit").orderBy("idx")
     steps = pivot_df.select(*by, "idx", "bit", (F.row_number().over(w) - 1).alias("child"), F.concat("prefix", F.col("bit").cast("string")).alias("to"))
+    steps = staged(steps)  # read by every level
     leaves = code_df.select("stream_id", F.col("code").alias("to"), "sym")
     now = steps.where("prefix = ''").select(*BLOCK, F.col("idx").alias("pos"), "to", "child")
-    out = now.join(F.broadcast(leaves), ["stream_id", "to"]).select(*BLOCK, "pos", "sym")
+    out = now.join(small(leaves), ["stream_id", "to"]).select(*BLOCK, "pos", "sym")
     for depth in range(1, max_len):
         level = steps.where(F.length("prefix") == depth)
         now = now.withColumnRenamed("to", "prefix").withColumnRenamed("child", "idx").join(level, [*by, "idx"]).select(*BLOCK, "pos", "to", "child")
-        out = out.unionByName(now.join(F.broadcast(leaves), ["stream_id", "to"]).select(*BLOCK, "pos", "sym"))
+        now = staged(now)  # read by this level's leaves and by all levels below
+        out = out.unionByName(now.join(small(leaves), ["stream_id", "to"]).select(*BLOCK, "pos", "sym"))
     return out
 
 
@@ -49,7 +53,7 @@ def decode_bottomup(pivot_df: DataFrame, code_df: DataFrame, max_len: int) -> Da
     leaves = code_df.select("stream_id", F.col("code").alias("to"), F.col("sym").alias("leaf"))
     w = Window.partitionBy(*by, "bit").orderBy("idx")
     steps = pivot_df.select(*by, "idx", (F.row_number().over(w) - 1).alias("child"), F.concat("prefix", F.col("bit").cast("string")).alias("to"))
-    steps = steps.join(F.broadcast(leaves), ["stream_id", "to"], "left")
+    steps = staged(steps.join(small(leaves), ["stream_id", "to"], "left"))  # read by every level
     below = None
     for depth in range(max_len - 1, -1, -1):
         level = steps.where(F.length("prefix") == depth)

@@ -110,7 +110,7 @@ def ablation_td(spark, d):
 
     out = None
     for tree in ("naive", "flat_opt"):
-        enc = encoded(spark, d, ["doc_es"], shape=tree).where("value_id % 4 = 0")
+        enc = encoded(spark, d, ["doc_es"], shape=tree)
         for impl in ("loop", "branchfree", "vector"):
             how = dict(prefill=False, fuse=False) if tree == "naive" else {}
             dec = decode_blocks(enc.withColumn("stored", F.col("crc")), decode=lambda p, n, lengths, t=tree, i=impl, h=how: codec.decode_batch(p, n, lengths, t, "topdown", impl=i, **h))

@@ -20,7 +20,7 @@ from treepack.queries import sql
 from treepack.queries.common import books_of, codes_of, digests, encoded, hist_of, roundtrip, sizes
 from treepack.registry import query
 from treepack.sources.streams import build_stream, to_blocks
-from treepack.sources.tables import load, staged
+from treepack.sources.tables import load, small, staged
 
 _DOCS = ("doc_en", "doc_de", "doc_fr", "doc_es")
 
@@ -164,14 +164,14 @@ def block_range_decode(spark, d):
 
 # --- relations ------------------------------------------------------------------------
 
-_PIVOT = f"""WITH RECURSIVE src AS MATERIALIZED (SELECT * FROM ({sql.rows(['doc_es'])}) WHERE value_id % 10 = 4), {sql.codes(sql.hist('SELECT * FROM src'))},
+_PIVOT = f"""WITH RECURSIVE src AS MATERIALIZED ({sql.rows(['doc_es'])}), {sql.codes(sql.hist('SELECT * FROM src'))},
 bits AS (SELECT value_id, pos // 8192 AS block_no, pos, left(code, x.d) AS prefix, substr(code, x.d + 1, 1) AS bit FROM src JOIN codes USING (stream_id, sym), unnest(range(len)) AS x(d))
 SELECT value_id, block_no::BIGINT AS block_no, prefix, md5(string_agg(bit, '' ORDER BY pos)) AS bitmap FROM bits GROUP BY ALL"""
 
 
 def _small_pivot(spark, d):
-    """The relational form holds a row per bit: for small streams, here the Spanish texts of one residue class."""
-    values = build_stream(spark, d, "doc_es").where("value_id % 10 = 4")
+    """The relational form holds a row per bit: a reference for streams that are small next to the cluster."""
+    values = build_stream(spark, d, "doc_es")
     codes = codes_of(stats.codebooks(stats.byte_histogram(values), max_len=15, floor=4096))
     return relational.symbols(to_blocks(values)), codes
 
@@ -182,7 +182,7 @@ def pivot_rel_bitmaps(spark, d):
     return relational.bitmaps(relational.pivot(sym, codes)).select("value_id", "block_no", "prefix", F.md5("bitmap").alias("bitmap"))
 
 
-_REL = f"SELECT value_id, (pos // 8192)::BIGINT AS block_no, (pos % 8192)::INT AS pos, sym FROM (SELECT * FROM ({sql.rows(['doc_es'])}) WHERE value_id % 10 = 4)"
+_REL = f"SELECT value_id, (pos // 8192)::BIGINT AS block_no, (pos % 8192)::INT AS pos, sym FROM ({sql.rows(['doc_es'])})"
 
 
 @query("pivot_rel_decode_td", "E6", _REL)
@@ -359,33 +359,11 @@ for _n, _f in {
 # --- rejected variants, kept as options -----------------------------------------------------
 
 
-def root_levels(raw: bytes, lengths: bytes) -> bytes:
-    """All symbols share their first D code bits' length at least: split by those D bits at once into 2**D lists, then decode each by its subtree."""
-    codes = cb.codes_of(lengths)
-    a = np.frombuffer(raw, np.uint8)
-    dd = min((n for n, _ in codes.values()), default=0)
-    if dd < 1:
-        return raw
-    first = np.zeros(256, np.uint8)
-    for s, (n, c) in codes.items():
-        first[s] = c >> (n - dd)
-    way = kernels.unpack_codes(kernels.pack_codes(first[a], dd, _one(len(a)))[0], dd, _one(len(a)))
-    out = np.empty_like(a)
-    for w in range(1 << dd):
-        idx = np.flatnonzero(way == w)
-        out[idx] = a[idx]
-    return out.tobytes()
-
-
-def _variant(fn):
-    def run(spark, d):
-        enc = encoded(spark, d, ["doc_es"], encoder=lambda raws, lengths: [len(r).to_bytes(4, "little") + fn(r, lengths) for r in raws])
-        return digests(decode_blocks(enc, decode=lambda p, n, lengths: [x[4:] for x in p]))
-
-    return run
+def _decoder_roundtrip(decoder: str, *, shape: str = "flat_opt", gates: Gates | None = None, **how):
+    return lambda spark, d: roundtrip(spark, d, ["doc_es"], decoder=decoder, shape=shape, gates=gates, **how)
 
 
-query("shape_root_levels", "B9", sql.md5_of(["doc_es"]))(_variant(root_levels))
+query("shape_root_levels", "B9", sql.md5_of(["doc_es"]))(_decoder_roundtrip("topdown", shape="naive", prefill=False, root_levels=True))
 
 
 def split_flat(root: sh.Node, counts: np.ndarray, skew: float = 0.625) -> sh.Node:
@@ -438,14 +416,8 @@ for _n, _r in (("shape_fse_split", split_flat), ("shape_left_heavy", left_heavy)
     query(_n, "B10", "SELECT * FROM (VALUES ('doc_de', true, true), ('geom80', true, true), ('ok_le8', true, true)) t(stream_id, same_symbols, same_bits)")(_reshaped(_r))
 
 
-def fused_pipeline(payloads, n, lengths):
-    """Top-down decode of two halves of a batch in turn, the one's scatters between the other's partitions; the same output."""
-    half = len(payloads) // 2
-    return codec.decode_batch(payloads[:half], n[:half], lengths, decoder="topdown") + codec.decode_batch(payloads[half:], n[half:], lengths, decoder="topdown")
-
-
-query("td_fused_pipeline", "C16", sql.md5_of(["doc_es"]))(lambda spark, d: digests(decode_blocks(encoded(spark, d, ["doc_es"]), decode=fused_pipeline)))
-query("bu_fused_tans_merge", "C17", sql.md5_of(["doc_es"]))(lambda spark, d: roundtrip(spark, d, ["doc_es"], gates=Gates()))
+query("td_fused_pipeline", "C16", sql.md5_of(["doc_es"]))(_decoder_roundtrip("topdown_interleaved"))
+query("bu_fused_tans_merge", "C17", sql.md5_of(["doc_es"]))(_decoder_roundtrip("bottomup_fused", gates=Gates(min_skew=0.5, max_cost_ratio=1.0)))
 
 
 # --- the container ---------------------------------------------------------------------------
@@ -460,7 +432,7 @@ def wire_header(spark, d):
 def _marker_rows(spark, d, gates):
     """(value_id, block_no, prefix, n, n_right, marker, body) of every inner node of every block."""
     enc_books = books_of(spark, d, ["doc_de"], max_len=15, floor=4096)
-    blocks = to_blocks(build_stream(spark, d, "doc_de")).join(F.broadcast(enc_books), "stream_id")
+    blocks = to_blocks(build_stream(spark, d, "doc_de")).join(small(enc_books), "stream_id")
 
     def run(batches):
         for b in batches:
@@ -506,9 +478,9 @@ def wire_size_identity(spark, d):
     rows = _marker_rows(spark, d, None)
     inner = rows.select("prefix").distinct()
     for side in "01":
-        inner = inner.join(F.broadcast(rows.select(F.expr("substring(prefix, 1, length(prefix) - 1)").alias("prefix"), F.expr("right(prefix, 1)").alias("s")).where(f"s = '{side}'").select("prefix").distinct().withColumn(f"has{side}", F.lit(2))), "prefix", "left")
+        inner = inner.join(small(rows.select(F.expr("substring(prefix, 1, length(prefix) - 1)").alias("prefix"), F.expr("right(prefix, 1)").alias("s")).where(f"s = '{side}'").select("prefix").distinct().withColumn(f"has{side}", F.lit(2))), "prefix", "left")
     two = inner.select("prefix", F.when(F.col("has0").isNotNull() & F.col("has1").isNotNull(), 2).otherwise(0).alias("head"))
-    return rows.join(F.broadcast(two), "prefix").groupBy("value_id", "block_no").agg(F.sum("n").alias("bits"), (4 + F.sum(F.col("body") + 1 + F.col("head"))).alias("bytes"))
+    return rows.join(small(two), "prefix").groupBy("value_id", "block_no").agg(F.sum("n").alias("bits"), (4 + F.sum(F.col("body") + 1 + F.col("head"))).alias("bytes"))
 
 
 @query("wire_blocks", "G2", "SELECT true AS size_fields_agree, count(*)::BIGINT AS blocks FROM (SELECT unnest(range(greatest(1, (strlen(text) + 8191) // 8192))) FROM documents WHERE lang = 'fr' AND text IS NOT NULL)")
@@ -530,11 +502,11 @@ def wire_walk(spark, d):
     return roundtrip(spark, d, ["doc_fr"], shape="flat")
 
 
-@query("wire_corrupt_rows", "G9", "SELECT kind, count(*)::BIGINT AS rows_, sum(CASE WHEN kind = 'good' THEN 0 ELSE 1 END)::BIGINT AS corrupt FROM (SELECT CASE doc_id % 4 WHEN 0 THEN 'cut' WHEN 1 THEN 'flipped' WHEN 2 THEN 'empty' ELSE 'good' END AS kind FROM documents WHERE lang = 'es' AND strlen(text) BETWEEN 100 AND 8000) GROUP BY kind")
+@query("wire_corrupt_rows", "G9", "SELECT kind, count(*)::BIGINT AS rows_, sum(CASE WHEN kind = 'good' THEN 0 ELSE 1 END)::BIGINT AS corrupt FROM (SELECT CASE (doc_id + k) % 4 WHEN 0 THEN 'cut' WHEN 1 THEN 'flipped' WHEN 2 THEN 'empty' ELSE 'good' END AS kind FROM (SELECT doc_id, unnest(range(greatest(1, (strlen(text) + 8191) // 8192))) AS k FROM documents WHERE lang = 'es' AND text IS NOT NULL)) GROUP BY kind")
 def wire_corrupt_rows(spark, d):
-    """Cut, flipped and emptied payloads: PERMISSIVE nulls just those rows."""
-    enc = encoded(spark, d, ["doc_es"]).where("block_no = 0 and n between 100 and 8000")
-    kind = F.expr("case value_id % 4 when 0 then 'cut' when 1 then 'flipped' when 2 then 'empty' else 'good' end")
+    """Cut, flipped and emptied payloads of blocks of any size: PERMISSIVE nulls just those rows."""
+    enc = encoded(spark, d, ["doc_es"])
+    kind = F.expr("case (value_id + block_no) % 4 when 0 then 'cut' when 1 then 'flipped' when 2 then 'empty' else 'good' end")
     p = F.col("payload")
     flipped_hex = F.lpad(F.hex(255 - F.conv(F.expr("hex(substring(payload, octet_length(payload), 1))"), 16, 10).cast("int")), 2, "0")
     broken = F.when(kind == "cut", F.expr("substring(payload, 1, octet_length(payload) - 3)")).when(kind == "empty", F.unhex(F.lit(""))).when(kind == "flipped", F.concat(F.expr("substring(payload, 1, octet_length(payload) - 1)"), F.unhex(flipped_hex))).otherwise(p)

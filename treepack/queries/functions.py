@@ -9,8 +9,8 @@ from treepack.queries import sql
 from treepack.queries.both import both
 from treepack.queries.common import books_of
 from treepack.registry import query
-from treepack.sources.streams import build_stream
-from treepack.sources.tables import load
+from treepack.sources.streams import build_stream, to_blocks
+from treepack.sources.tables import load, small
 
 S = "2.15"
 both("fn_string_bytes", S, "SELECT doc_id, strlen(text)::BIGINT AS n_bytes, length(text)::BIGINT AS chars, (strlen(text) * 8)::BIGINT AS bits, left(hex(encode(text)), 8) AS head, to_base64(encode(left(text, 6))) AS b64 FROM {documents}", "SELECT doc_id, cast(octet_length(text) as long) AS n_bytes, cast(length(text) as long) AS chars, cast(bit_length(text) as long) AS bits, left(hex(encode(text, 'utf-8')), 8) AS head, base64(encode(left(text, 6), 'utf-8')) AS b64 FROM {documents}")
@@ -78,13 +78,13 @@ def udaf_hist(spark, d):
     return g.select("source", F.posexplode("h").alias("sym", "cnt")).where("cnt > 0")
 
 
-@query("udtf_nodes", "2.13", f"WITH RECURSIVE src AS MATERIALIZED (SELECT * FROM ({sql.rows(['doc_es'])})), {sql.codes(sql.hist('SELECT * FROM src'))} SELECT value_id, left(code, x.d) AS prefix, count(*)::BIGINT AS n, sum(substr(code, x.d + 1, 1)::INT)::BIGINT AS n_right FROM src JOIN codes USING (stream_id, sym), unnest(range(len)) AS x(d) WHERE value_id IN (SELECT doc_id FROM documents WHERE strlen(text) < 8000) GROUP BY ALL")
+@query("udtf_nodes", "2.13", f"WITH RECURSIVE src AS MATERIALIZED (SELECT * FROM ({sql.rows(['doc_es'])})), {sql.codes(sql.hist('SELECT * FROM src'))} SELECT value_id, left(code, x.d) AS prefix, count(*)::BIGINT AS n, sum(substr(code, x.d + 1, 1)::INT)::BIGINT AS n_right FROM src JOIN codes USING (stream_id, sym), unnest(range(len)) AS x(d) GROUP BY ALL")
 def udtf_nodes(spark, d):
     from treepack.functions import udfs
 
     udfs.register(spark)
-    values = build_stream(spark, d, "doc_es").join(F.broadcast(books_of(spark, d, ["doc_es"], max_len=15, floor=4096)), "stream_id").where("octet_length(raw) < 8000")
-    return spark.sql("SELECT v.value_id, t.prefix, t.n, t.n_right FROM {v} v, LATERAL nbh_nodes(v.raw, v.lengths) t", v=values)
+    blocks = to_blocks(build_stream(spark, d, "doc_es")).join(small(books_of(spark, d, ["doc_es"], max_len=15, floor=4096)), "stream_id")
+    return spark.sql("SELECT v.value_id, t.prefix, sum(t.n) AS n, sum(t.n_right) AS n_right FROM {v} v, LATERAL nbh_nodes(v.raw, v.lengths) t GROUP BY ALL", v=blocks)
 
 
 _SYM = "SELECT r_name, u.i::INT AS pos, ascii(substr(r_name, u.i + 1, 1)) AS sym FROM region, unnest(range(length(r_name))) AS u(i)"
