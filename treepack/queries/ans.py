@@ -5,6 +5,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from treepack.functions import fsm
@@ -15,6 +16,7 @@ from treepack.plans.selective import Gates
 from treepack.queries import sql
 from treepack.queries.common import codes_of, digests, encoded, hist_of, roundtrip, sizes
 from treepack.registry import query
+from treepack.sources.tables import staged
 
 _LANGS = ("doc_de", "doc_fr", "doc_es")
 
@@ -156,6 +158,22 @@ for _c in ("rle", "zlib", "custom_tans"):
     query(f"bitmap_codec_{_c}_roundtrip", "F17", sql.md5_of(["doc_es"]))(lambda spark, d, c=_c: roundtrip(spark, d, ["doc_es"], gates=Gates(coder=c)))
 
 
+@query("ans_gate_relations", "F15", "SELECT * FROM (VALUES ('acgt', true, true), ('geom80', true, true)) t(stream_id, looser_skew_never_larger, looser_cost_never_larger)")
+def ans_gate_relations(spark, d):
+    """Looser gates code more nodes, and a node is coded only where it gets smaller."""
+    r = staged(ans_gate_sweep(spark, d))
+    before = lambda by, order: F.lag("enc_bytes").over(Window.partitionBy("stream_id", by).orderBy(order))
+    ok = r.select("stream_id", (F.coalesce(before("max_cost_ratio", "min_skew"), "enc_bytes") <= F.col("enc_bytes")).alias("skew"), (F.coalesce(before("min_skew", "max_cost_ratio"), "enc_bytes") >= F.col("enc_bytes")).alias("cost"))
+    return ok.groupBy("stream_id").agg(F.min("skew").alias("looser_skew_never_larger"), F.min("cost").alias("looser_cost_never_larger"))
+
+
+@query("bitmap_codec_relations", "F17", "SELECT * FROM (VALUES ('doc_es', true, true), ('geom80', true, true), ('mixskew', true, true)) t(stream_id, tans_never_larger_than_raw, rle_never_larger_than_raw)")
+def bitmap_codec_relations(spark, d):
+    """A coder is used for a bitmap only where it pays, so none loses to plain bitmaps."""
+    r = bitmap_codec_compare(spark, d).groupBy("stream_id").pivot("coder", ["raw", "tans", "rle", "zlib"]).agg(F.first("enc_bytes"))
+    return r.select("stream_id", (F.col("tans") <= F.col("raw")).alias("tans_never_larger_than_raw"), (F.col("rle") <= F.col("raw")).alias("rle_never_larger_than_raw"))
+
+
 @query("bitmap_codec_compare", "F17")
 def bitmap_codec_compare(spark, d):
     out = None

@@ -12,7 +12,7 @@ from treepack.queries import sql
 from treepack.queries.common import digests, encoded, hist_of, sizes
 from treepack.registry import query
 from treepack.sources.streams import build_stream, to_blocks
-from treepack.sources.tables import load, scratch
+from treepack.sources.tables import load, scratch, small
 
 
 def _classic(stream, cursors, decode):
@@ -82,7 +82,7 @@ def _sides(spark, d):
 @query("probe_spark", "H11", _LEFT)
 def probe_spark(spark, d):
     left, right = _sides(spark, d)
-    return left.join(F.broadcast(right), "l_partkey", "left").select("l_orderkey", "l_linenumber", "l_partkey", F.col("v").alias("found"))
+    return left.join(small(right), "l_partkey", "left").select("l_orderkey", "l_linenumber", "l_partkey", F.col("v").alias("found"))
 
 
 @query("probe_vectorised", "H11", _LEFT)

@@ -123,6 +123,13 @@ def lz_stream_stats(spark, d):
     return stats.entropy_report(hist, codes).join(top, "stream_id")
 
 
+@query("lz_stream_relations", "J2 W13", "SELECT true AS literal_lengths_more_skewed_than_literals, true AS literals_more_skewed_than_offsets")
+def lz_stream_relations(spark, d):
+    """Which substreams hold skewed nodes: literal lengths more than literals, literals more than offsets."""
+    top = lz_stream_stats(spark, d).groupBy().pivot("stream_id", ["lz/ll", "lz/lit", "lz/off"]).agg(F.first("top_node"))
+    return top.select((F.col("lz/ll") > F.col("lz/lit")).alias("literal_lengths_more_skewed_than_literals"), (F.col("lz/lit") > F.col("lz/off")).alias("literals_more_skewed_than_offsets"))
+
+
 @query("lz_stream_codecs", "J3 W13")
 def lz_stream_codecs(spark, d):
     """Bytes of each substream by classic Huffman, node bitmaps, with gates, and whole-stream ANS."""

@@ -6,7 +6,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from treepack.functions import kernels
@@ -155,6 +155,13 @@ def block_size_sweep(spark, d):
     return out
 
 
+@query("block_size_relations", "E8", "SELECT * FROM (VALUES ('doc_en', true), ('geom80', true)) t(stream_id, larger_blocks_never_larger)")
+def block_size_relations(spark, d):
+    r = staged(block_size_sweep(spark, d))
+    before = F.lag("enc_bytes").over(Window.partitionBy("stream_id").orderBy("block_size"))
+    return r.select("stream_id", (F.coalesce(before, "enc_bytes") >= F.col("enc_bytes")).alias("ok")).groupBy("stream_id").agg(F.min("ok").alias("larger_blocks_never_larger"))
+
+
 @query("block_range_decode", "E11", "SELECT doc_id AS value_id, 1::BIGINT AS block_no, strlen(text)::BIGINT > 8192 AS present FROM documents WHERE lang = 'en' AND strlen(text) > 8192")
 def block_range_decode(spark, d):
     """Second blocks alone, decoded without their first."""
