@@ -62,12 +62,13 @@ def test_exact_dedup(spark, how):
     assert got == brute_exact(ROWS)
 
 
-def test_colliding_fingerprints_stay_apart(spark, monkeypatch):
+def test_colliding_fingerprints_stay_apart():
+    """Texts that differ from their leader go on with their bytes; a leader from elsewhere is no member."""
     import pyarrow as pa
 
-    batch = pa.RecordBatch.from_pydict({"doc_id": [1, 2, 3], "points": [3, 3, 3], "len": [3, 3, 3], "fp": [7, 7, 7], "salt": pa.array([0, 0, 0], pa.int32()), "salts": pa.array([1, 1, 1], pa.int32()), "b": [b"abc", b"abd", b"abc"]})
-    (out,) = ed._classes([batch], False)
-    assert out.column("cls").to_pylist() == [0, 1, 0]
+    rows = {"doc_id": [None, 1, 2, 3], "points": [0, 3, 3, 3], "text_sha256": [None, "x", "y", "x"], "fp": [7] * 4, "len": [3] * 4, "salt": [0] * 4, "guest": [True, False, False, False], "b": [b"abc", b"abc", b"abd", b"abc"]}
+    (out,) = ed._against_leader([pa.RecordBatch.from_pydict(rows)])
+    assert out.column("doc_id").to_pylist() == [1, 2, 3] and out.column("same").to_pylist() == [True, False, True] and out.column("b").to_pylist() == [None, b"abd", None]
 
 
 def test_exact_dedup_of_nothing(spark):
