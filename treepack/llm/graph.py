@@ -22,15 +22,12 @@ def connected_components(edges: DataFrame, name: str = "components") -> DataFram
     spark = edges.sparkSession
     with scratch(spark) as keep:
         now = stage(_ordered(edges.select("a", "b")), f"{name}-0")
-        seen = _mark(now)
         # ends: a round that changes an edge moves it to a smaller node, which can't go on for ever
         for k in count(1):
+            if _settled(now):
+                break
             with scratch(spark) as keep_round:
                 now = keep_round(stage(_small(_large(now)), f"{name}-{k}"))
-            mark = _mark(now)
-            if mark == seen:
-                break
-            seen = mark
         keep(now)
     # all edges now are (node, root)
     return now.select(F.col("a").alias("node"), F.col("b").alias("root")).union(now.select(F.col("b"), F.col("b")).distinct())
@@ -48,12 +45,14 @@ def _large(e: DataFrame) -> DataFrame:
 
 
 def _small(e: DataFrame) -> DataFrame:
-    e = _ordered(e)
+    """Of distinct edges from larger to smaller nodes, as _large gives them."""
     least = e.groupBy("a").agg(F.min("b").alias("m"))
     moved = e.join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b"))
     return moved.union(least.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
 
 
-def _mark(e: DataFrame) -> tuple:
-    r = e.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-    return tuple(r)
+def _settled(e: DataFrame) -> bool:
+    """Whether the edges are stars: each node has one edge to a smaller one, or none and is the root of others."""
+    ends = e.select(F.col("a").alias("node"), F.lit(1).alias("up"), F.lit(0).alias("down")).union(e.select("b", F.lit(0), F.lit(1)))
+    of_node = ends.groupBy("node").agg(F.sum("up").alias("up"), F.max("down").alias("down"))
+    return of_node.where("up > 1 or up + down > 1").agg(F.count("*")).first()[0] == 0

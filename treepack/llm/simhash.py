@@ -12,6 +12,7 @@ skipped. Of a bucket's links a spanning forest is kept, never all pairs.
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
+from functools import cache
 from itertools import combinations
 
 import numpy as np
@@ -25,7 +26,6 @@ from treepack.llm.graph import connected_components
 
 SEED = 42
 BITS = 64
-_BYTE_LANES = np.uint64(0x0101010101010101)
 
 
 def shingle_hashes(text: bytes | None, shingle: int = 4) -> np.ndarray:
@@ -42,19 +42,22 @@ def shingle_hashes(text: bytes | None, shingle: int = 4) -> np.ndarray:
     return np.array([digest(joined[a:b], SEED) for a, b in zip(begins, (ends[shingle - 1 :] - 1).tolist(), strict=True)], np.uint64)
 
 
+def majorities(h: np.ndarray) -> bytes:
+    """Each bit of rows of whole words set in over half of the rows, as little-endian words; 255 rows at a time are counted in bytes."""
+    n, width = len(h), h.shape[1] * BITS
+    counts = np.zeros(width, np.int64)
+    octets = np.ascontiguousarray(h, "<u8").view(np.uint8)
+    for at in range(0, n, 4080):
+        bits = np.unpackbits(octets[at : at + 4080], axis=1, bitorder="little")
+        whole = len(bits) // 255 * 255
+        counts += np.add.reduce(bits[:whole].reshape(-1, 255, width), axis=1, dtype=np.uint8).sum(axis=0, dtype=np.int64)
+        counts += np.add.reduce(bits[whole:], axis=0, dtype=np.uint8)
+    return np.packbits(2 * counts > n, bitorder="little").tobytes()
+
+
 def majority_bits(h: np.ndarray) -> int:
-    """Each bit set in over half of h. Eight bit columns are counted in the bytes of one word, 255 rows at a time."""
-    n = len(h)
-    if n == 0:
-        return 0
-    padded = np.zeros(-(-n // 255) * 255, np.uint64)
-    padded[:n] = h
-    counts = np.zeros(BITS, np.int64)
-    rows = padded.reshape(-1, 255)
-    for k in range(8):
-        lanes = ((rows >> np.uint64(k)) & _BYTE_LANES).sum(axis=1, dtype=np.uint64)
-        counts[k::8] = lanes.astype("<u8").view(np.uint8).reshape(-1, 8).sum(axis=0, dtype=np.int64)
-    return int(np.packbits(2 * counts > n, bitorder="little").view("<u8")[0])
+    """Each bit set in over half of h; zero if there is none."""
+    return int.from_bytes(majorities(h[:, None]), "little")
 
 
 def fingerprints(docs: DataFrame, shingle: int = 4) -> DataFrame:
@@ -225,6 +228,7 @@ WIDE = 256
 #: Radii over WIDE bits for sets of shingles as similar as 0.8. A bit differs in 15 % of such pairs, 19 % where sets are
 #: small and majorities narrow; the radius lies five standard deviations over that.
 REACH, SMALL_REACH, SMALL_SET = 72, 84, 16
+_POLYNOMIAL = np.uint64(0x9E3779B97F4A7C15)
 
 
 def bands_for(similarity: float, recall: float) -> int:
@@ -232,12 +236,33 @@ def bands_for(similarity: float, recall: float) -> int:
     return max(1, int(np.ceil(np.log(1 - recall) / np.log1p(-(similarity**ROWS)))))
 
 
+def set_hashes(text: bytes | None, shingle: int) -> np.ndarray:
+    """The distinct shingles of a text as sorted 64-bit hashes: its words' XXH64 by a rolling polynomial, then mixed.
+
+    Fewer words than a shingle are one shingle; words as in shingle_hashes.
+    """
+    words = (text or b"").lower().split()
+    if not words:
+        return np.empty(0, np.uint64)
+    of = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
+    n = max(1, len(of) - shingle + 1)
+    h = np.full(n, min(len(of), shingle), np.uint64)
+    for k in range(min(len(of), shingle)):
+        h = h * _POLYNOMIAL + of[k : k + n]
+    return np.unique(_mixed(h))
+
+
+@cache
+def _multipliers(k: int) -> np.ndarray:
+    return np.random.default_rng(SEED).integers(0, 2**63, k, dtype=np.uint64)[:, None] * np.uint64(2) + np.uint64(1)
+
+
 def minima(h: np.ndarray, k: int) -> np.ndarray:
-    """The least value of a set of shingle hashes under each of k mixings."""
-    add = np.random.default_rng(SEED).integers(0, 2**64, k, dtype=np.uint64, endpoint=False)
+    """The least value of a set of shingle hashes under each of k odd multipliers, which permute all 64-bit values."""
+    odd = _multipliers(k)
     least = np.full(k, 2**64 - 1, np.uint64)
     for at in range(0, len(h), 2048):
-        np.minimum(least, _mixed(h[at : at + 2048, None] + add).min(axis=0), out=least)
+        np.minimum(least, (odd * h[at : at + 2048]).min(axis=1), out=least)
     return least
 
 
@@ -251,7 +276,7 @@ def _mixed(x: np.ndarray) -> np.ndarray:
 
 def wide_fingerprint(h: np.ndarray) -> bytes:
     """A SimHash of WIDE bits: the shingle hashes and mixings of them give a word each."""
-    return b"".join(majority_bits(h if k == 0 else _mixed(h + np.uint64(k))).to_bytes(8, "little") for k in range(WIDE // BITS))
+    return majorities(np.stack([h if k == 0 else _mixed(h + np.uint64(k)) for k in range(WIDE // BITS)], axis=1))
 
 
 def _signed(v: int) -> int:
@@ -349,10 +374,10 @@ def similar_dedup(docs: DataFrame, *, shingle: int = 5, similarity: float = 0.8,
     bands = bands_for(similarity, recall)
 
     def row(doc_id, text_key, text):
-        return doc_id, text_key, *sketch(np.unique(shingle_hashes(text, shingle)), bands)
+        return doc_id, text_key, *sketch(set_hashes(text, shingle), bands)
 
     def with_set(root, text):
-        h = np.unique(shingle_hashes(text, shingle))
+        h = set_hashes(text, shingle)
         return root, _signed(xxhash.xxh64_intdigest(h.tobytes(), SEED)), len(h), h.tobytes()
 
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_key"), "text")
