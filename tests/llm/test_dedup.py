@@ -217,3 +217,19 @@ def test_similarity_is_exact_at_the_limit(spark, how):
     want, near = brute_similar(rows)
     assert sum(0.8 <= x < 0.85 for x in near) > 20 and sum(0.75 <= x < 0.8 for x in near) > 20
     assert {r.doc_id: r.component_id for r in sh.similar_dedup(table(spark, rows), **how).collect()} == want
+
+
+def test_majorities_and_set_hashes():
+    import numpy as np
+
+    from treepack.llm.simhash import majority_bits, set_hashes, shingle_hashes
+
+    draw = np.random.default_rng(2)
+    for n in (0, 1, 2, 254, 255, 256, 4080, 4081, 9000):
+        h = draw.integers(0, 2**64, n, dtype=np.uint64)
+        set_in = [sum(int(v) >> k & 1 for v in h) for k in range(64)]
+        assert majority_bits(h) == sum(1 << k for k, c in enumerate(set_in) if 2 * c > n)
+    for text in (None, b"", b" \n", b"one", b"a B a b", b"a b c d e", b"x " * 3000, b"p q r s t u " * 50 + b"v"):
+        h = set_hashes(text, 5)
+        assert len(h) == len(set(shingle_hashes(text, 5).tolist())) and (h[1:] > h[:-1]).all()
+    assert (set_hashes(b"A b\tC d  e F", 5) == set_hashes(b"a B c D E f", 5)).all()
