@@ -5,6 +5,7 @@ import decimal
 import math
 
 import pytest
+from pyspark.sql import functions as F
 
 from treepack import registry
 
@@ -93,3 +94,14 @@ def test_state_of_a_block_builder_survives_a_restart(spark, sf, tmp_path):
 def test_every_query_but_reports_has_an_oracle():
     assert len(registry.QUERIES) > 220
     assert len(registry.ORACLES) > 200
+
+
+def test_table_of_a_bitmap_rounds_halves_like_its_sql(spark, duck):
+    from treepack.plans.selective import choose_table
+    from treepack.queries.codec import table_id
+
+    rows = [(n, r) for n in (8, 40, 200, 1000, 5000) for r in range(n + 1)]
+    got = [x[0] for x in spark.createDataFrame(rows, "n long, n_right long").select(table_id(F.col("n"), F.col("n_right"))).collect()]
+    sql = "least(greatest(floor(100 * greatest(r, n - r) / n + 0.5), 50), 99)::BIGINT - 49"
+    want = [duck.sql(f"SELECT {sql} FROM (SELECT {n}::BIGINT AS n, unnest(range({n + 1})) AS r)").fetchall() for n in (8, 40, 200, 1000, 5000)]
+    assert got == choose_table(*zip(*rows, strict=True))[0].tolist() == [x[0] for w in want for x in w]

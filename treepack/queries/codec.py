@@ -468,8 +468,12 @@ def wire_right_counts(spark, d):
 def ans_table_choice(spark, d):
     """Table and complement bit of each block's root, by its popcount."""
     n, r = F.col("n"), F.col("n_right")
-    major = F.greatest(r, n - r) / n
-    return _marker_rows(spark, d, None).where("prefix = ''").select("value_id", "block_no", (F.least(F.greatest(F.floor(100 * major + 0.5), F.lit(50)), F.lit(99)) - 49).alias("table_id"), (r * 2 > n).alias("complemented"))
+    return _marker_rows(spark, d, None).where("prefix = ''").select("value_id", "block_no", table_id(n, r).alias("table_id"), (r * 2 > n).alias("complemented"))
+
+
+def table_id(n, n_right):
+    """1 to 50 by the percentage of the commoner bit; one division, of integers, so a half is a half."""
+    return F.least(F.greatest(F.floor(100 * F.greatest(n_right, n - n_right) / n + 0.5), F.lit(50)), F.lit(99)) - 49
 
 
 @query("wire_markers", "G4", "SELECT true AS valid, true AS some_coded")
