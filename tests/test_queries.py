@@ -105,3 +105,29 @@ def test_table_of_a_bitmap_rounds_halves_like_its_sql(spark, duck):
     sql = "least(greatest(floor(100 * greatest(r, n - r) / n + 0.5), 50), 99)::BIGINT - 49"
     want = [duck.sql(f"SELECT {sql} FROM (SELECT {n}::BIGINT AS n, unnest(range({n + 1})) AS r)").fetchall() for n in (8, 40, 200, 1000, 5000)]
     assert got == choose_table(*zip(*rows, strict=True))[0].tolist() == [x[0] for w in want for x in w]
+
+
+def test_relational_decoders_shuffle_no_row_per_bit(spark, sf):
+    for name in ("pivot_rel_decode_td", "pivot_rel_decode_bu"):
+        text = plan(registry.QUERIES[name](spark, sf))
+        assert "Window" not in text and "SortMergeJoin" not in text and "Exchange hashpartitioning" not in text
+
+
+def test_relational_forms_take_repeated_ids_empty_and_multi_block_values(spark):
+    from treepack.operators import relational, stats
+    from treepack.sources.streams import to_blocks
+
+    texts = [(1, b"abracadabra" * 900), (1, b"abracadabra" * 900), (2, b""), (3, b"z"), (4, bytes(range(256)) * 70)]
+    values = spark.createDataFrame([("s", k, bytearray(t)) for k, t in texts], "stream_id string, value_id long, raw binary")
+    codes = stats.canonical_codes(stats.code_lengths(stats.codebooks(stats.byte_histogram(values), max_len=15, floor=4096)))
+    pivoted = relational.pivot(to_blocks(values), codes)
+    want = sorted((v, at // 8192, at % 8192, x) for v, t in texts for at, x in enumerate(t))
+    for decode in (relational.decode_topdown, relational.decode_bottomup):
+        assert sorted((r.value_id, r.block_no, r.pos, r.sym) for r in decode(pivoted, codes).collect()) == want
+    code = {r.sym: r.code for r in codes.collect()}
+    bits: dict = {}
+    for v, block, _, x in want:
+        for d, c in enumerate(code[x]):
+            bits[v, block, code[x][:d]] = bits.get((v, block, code[x][:d]), "") + c
+    got = relational.bitmaps(relational.pivot(relational.interleaved(to_blocks(values)), codes)).collect()
+    assert len(got) == len(bits) and {(r.value_id, r.block_no, r.prefix): r.bitmap for r in got} == bits

@@ -176,17 +176,16 @@ bits AS (SELECT value_id, pos // 8192 AS block_no, pos, left(code, x.d) AS prefi
 SELECT value_id, block_no::BIGINT AS block_no, prefix, md5(string_agg(bit, '' ORDER BY pos)) AS bitmap FROM bits GROUP BY ALL"""
 
 
-def _small_pivot(spark, d):
-    """The relational form holds a row per bit: a reference for streams that are small next to the cluster."""
+def _blocks_and_codes(spark, d):
     values = build_stream(spark, d, "doc_es")
     codes = codes_of(stats.codebooks(stats.byte_histogram(values), max_len=15, floor=4096))
-    return relational.symbols(to_blocks(values)), codes
+    return to_blocks(values), staged(codes)
 
 
 @query("pivot_rel_bitmaps", "E5", _PIVOT)
 def pivot_rel_bitmaps(spark, d):
-    sym, codes = _small_pivot(spark, d)
-    return relational.bitmaps(relational.pivot(sym, codes)).select("value_id", "block_no", "prefix", F.md5("bitmap").alias("bitmap"))
+    blocks, codes = _blocks_and_codes(spark, d)
+    return relational.bitmaps(relational.pivot(relational.interleaved(blocks), codes)).select("value_id", "block_no", "prefix", F.md5("bitmap").alias("bitmap"))
 
 
 _REL = f"SELECT value_id, (pos // 8192)::BIGINT AS block_no, (pos % 8192)::INT AS pos, sym FROM ({sql.rows(['doc_es'])})"
@@ -194,14 +193,14 @@ _REL = f"SELECT value_id, (pos // 8192)::BIGINT AS block_no, (pos % 8192)::INT A
 
 @query("pivot_rel_decode_td", "E6", _REL)
 def pivot_rel_decode_td(spark, d):
-    sym, codes = _small_pivot(spark, d)
-    return relational.decode_topdown(staged(relational.pivot(sym, codes)), staged(codes), 15).select("value_id", "block_no", F.col("pos").cast("int").alias("pos"), "sym")
+    blocks, codes = _blocks_and_codes(spark, d)
+    return relational.decode_topdown(relational.pivot(blocks, codes), codes).select("value_id", "block_no", "pos", "sym")
 
 
 @query("pivot_rel_decode_bu", "E7", _REL)
 def pivot_rel_decode_bu(spark, d):
-    sym, codes = _small_pivot(spark, d)
-    return relational.decode_bottomup(staged(relational.pivot(sym, codes)), staged(codes), 15).select("value_id", "block_no", F.col("pos").cast("int").alias("pos"), "sym")
+    blocks, codes = _blocks_and_codes(spark, d)
+    return relational.decode_bottomup(relational.pivot(blocks, codes), codes).select("value_id", "block_no", "pos", "sym")
 
 
 # --- kernels, each on the bytes of real columns ------------------------------------------
