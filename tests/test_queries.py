@@ -131,3 +131,9 @@ def test_relational_forms_take_repeated_ids_empty_and_multi_block_values(spark):
             bits[v, block, code[x][:d]] = bits.get((v, block, code[x][:d]), "") + c
     got = relational.bitmaps(relational.pivot(relational.interleaved(to_blocks(values)), codes)).collect()
     assert len(got) == len(bits) and {(r.value_id, r.block_no, r.prefix): r.bitmap for r in got} == bits
+
+
+def test_ratios_build_their_streams_once(spark, sf):
+    from treepack.queries.measures import ratios
+
+    assert "documents.parquet" not in plan(ratios(spark, sf, ("doc_de",)))
