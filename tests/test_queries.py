@@ -3,6 +3,7 @@
 import datetime
 import decimal
 import math
+import re
 
 import pytest
 from pyspark.sql import functions as F
@@ -137,3 +138,25 @@ def test_ratios_build_their_streams_once(spark, sf):
     from treepack.queries.measures import ratios
 
     assert "documents.parquet" not in plan(ratios(spark, sf, ("doc_de",)))
+
+
+@pytest.mark.parametrize("name", "ans_gate_examples ans_static_vs_custom ans_two_cursors ans_xor_marker".split())
+def test_examples_on_events_equal_their_oracles(spark, duck, sf, name):
+    test_query_equals_oracle(spark, duck, sf, name)
+
+
+@pytest.mark.parametrize("name", "ans_gate_examples ans_static_vs_custom ans_two_cursors ans_xor_marker bench_golomb bench_kernels_bu bench_kernels_td bench_tans_cursors bench_td_grid".split())
+def test_measures_read_a_given_table(spark, sf, name):
+    df = registry.QUERIES[name](spark, sf)
+    assert "events.parquet" in plan(df) and df.count() > 0
+
+
+def test_codec_reports_keep_no_results_of_other_queries(spark, sf):
+    from treepack.queries import measures
+
+    for like, names in (("encode", {"doc_es"}), ("naive top-down|classic table", {"doc_es", "doc_fr"})):
+        df = measures.codec_rates(spark, sf, sorted(names), like=like)
+        assert "documents.parquet" in plan(df)
+        rows = df.collect()
+        assert {r.stream_id for r in rows} == names and all(re.search(like, r.what) for r in rows)
+    assert not hasattr(measures, "_MEASURED")
