@@ -5,6 +5,7 @@ import re
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from treepack.llm import byte_cnn, matroska, pii, pu_quality, stages
 from treepack.llm.html_text import extract_text, html_to_text
@@ -268,3 +269,25 @@ def test_stages_take_effect_and_keep_columns(spark):
     assert masked.count() == similar.count() and masked.where("text like '%a@b.com%'").count() == 0
     for f in (stages.keep_known_languages, stages.keep_one_of_equal, stages.keep_one_of_similar, stages.mask_personal_data):
         assert f(docs.where("false")).count() == 0
+
+
+def test_language_stage_learns_from_every_row_and_limits_by_all_held_out(spark, monkeypatch):
+    langs = {"x": "abcde fghij ", "y": "klmno pqrst "}
+    rows = [(i, lang, (t[i % 12 :] + t * 3)[: 20 + i % 13]) for lang, t in langs.items() for i in range(1000 * (lang == "y"), 1000 * (lang == "y") + 300)]
+    docs = spark.createDataFrame(rows, "doc_id long, lang string, text string")
+    monkeypatch.setattr(byte_cnn, "SHARD", 100)
+    few = dict(per_language=20, per_text=1)
+    held = docs.where("pmod(xxhash64(doc_id), 5) = 0")
+    start = byte_cnn.train(docs.where("pmod(xxhash64(doc_id), 5) <> 0"), **few)
+    net, least = byte_cnn.train_with_limit(docs, **few)
+    assert net.labels == start.labels == ["x", "y"] and all((a != b).any() for a, b in zip(net.params()[1:], start.params()[1:]))
+    again, _ = byte_cnn.train_with_limit(docs.repartition(7), **few)
+    assert all(np.allclose(a, b) for a, b in zip(net.params(), again.params()))
+    want = {r.doc_id: r.lang for r in held.collect()}
+    got = byte_cnn.language_id(held, net).collect()
+    scores = [r.score for r in got if r.lang_pred == want[r.doc_id]]
+    assert len(scores) > 0.9 * len(want) and least == pytest.approx(0.9 * float(np.quantile(scores, 0.001)))
+    # every row counts, whatever the sample took: one with other bytes moves the result
+    other = docs.withColumn("text", F.when(F.col("doc_id") == docs.where("pmod(xxhash64(doc_id), 5) <> 0").agg(F.max("doc_id")).first()[0], "zzzz zzzz").otherwise(F.col("text")))
+    moved = byte_cnn.learn_all(start, other.where("pmod(xxhash64(doc_id), 5) <> 0"))
+    assert any((a != b).any() for a, b in zip(moved.params(), net.params()))

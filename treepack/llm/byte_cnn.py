@@ -9,15 +9,16 @@ probabilities are the mean over windows, weighted by bytes.
 
 from __future__ import annotations
 
+import copy
 from dataclasses import dataclass
-from itertools import groupby
 
 import numpy as np
+import pandas as pd
 import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from treepack.llm.common import map_groups, maybe_broadcast
+from treepack.llm.common import give_back, map_groups, maybe_broadcast, scratch, stage
 
 LENGTH = 256
 WIDTHS = (2, 3, 4)
@@ -42,6 +43,9 @@ class ByteCNN:
         net.kernel *= net.mask()
         return net
 
+    def params(self) -> list[np.ndarray]:
+        return [self.embed, self.kernel, self.bias, self.out, self.out_bias]
+
     def mask(self) -> np.ndarray:
         dim, per = self.embed.shape[1], self.kernel.shape[1] // len(WIDTHS)
         m = np.zeros_like(self.kernel)
@@ -68,7 +72,7 @@ class ByteCNN:
     def fit(self, x: np.ndarray, y: np.ndarray, epochs: int = 8, batch: int = 64, rate: float = 3e-3, seed: int = 11) -> ByteCNN:
         """Adam on the cross-entropy; the gradient reaches only the patches that won the pooling."""
         rng, mask = np.random.default_rng(seed), self.mask()
-        params = [self.embed, self.kernel, self.bias, self.out, self.out_bias]
+        params = self.params()
         first, second = [np.zeros_like(p) for p in params], [np.zeros_like(p) for p in params]
         dim, t = self.embed.shape[1], 0
         widest = max(WIDTHS)
@@ -179,24 +183,72 @@ def train(docs: DataFrame, **sample) -> ByteCNN | None:
     return fit_windows(training_windows(docs, **sample))
 
 
+#: Labelled rows that are learnt from together before networks are averaged.
+SHARD = 4096
+
+
+def learn_all(net: ByteCNN, rows: DataFrame, rate: float = 1e-3) -> ByteCNN:
+    """The network after every window of every row(doc_id, lang, text) in net's languages.
+
+    Rows are dealt by a hash to shards of about SHARD; each shard goes on from
+    net over all its windows, and the mean of the shards' networks, weighted by
+    windows, is what all have learnt. Order and partitions of rows don't matter.
+    """
+    at = {v: i for i, v in enumerate(net.labels)}
+    known = rows.where(F.col("lang").isin(net.labels) & F.col("text").isNotNull())
+    shards = max(1, known.count() // SHARD)
+
+    def one(pdf: pd.DataFrame) -> pd.DataFrame:
+        parts = sorted((t.encode(), at[lang]) for t, lang in zip(pdf["text"], pdf["lang"], strict=True))
+        x = [windows(t) for t, _ in parts]
+        y = np.repeat([k for _, k in parts], [len(w) for w in x])
+        mine = copy.deepcopy(net).fit(np.concatenate(x), y, epochs=1, rate=rate)
+        give_back()
+        return pd.DataFrame({"shard": [pdf["shard"].iloc[0]], "n": [len(y)], "p": [np.concatenate([v.ravel() for v in mine.params()]).tobytes()]})
+
+    dealt = known.select(F.pmod(F.xxhash64("doc_id", "text"), F.lit(shards)).alias("shard"), "lang", "text")
+    got = sorted(dealt.groupBy("shard").applyInPandas(one, "shard long, n long, p binary").collect(), key=lambda r: r.shard)
+    if not got:
+        return net
+    total, flat = sum(r.n for r in got), 0
+    for r in got:
+        flat = flat + np.frombuffer(r.p, np.float32).astype(np.float64) * (r.n / total)
+    out, end = copy.deepcopy(net), 0
+    for v in out.params():
+        v[...] = flat[end : end + v.size].reshape(v.shape)
+        end += v.size
+    return out
+
+
 def train_with_limit(docs: DataFrame, share: float = 0.001, **sample) -> tuple[ByteCNN | None, float]:
-    """(net, score under which a text is in none of its languages).
+    """(net, score under which a text is in none of its languages), from all labelled rows.
 
-    One in five texts of the sample is held out; the limit lies a tenth under
-    the score that all but `share` of the held-out texts reach that are
-    recognised, so texts of the learnt languages stay.
+    Rows whose id falls in one of five folds by its hash are held out. All
+    others are learnt from, every window of them: a balanced sample gives only
+    the parameters to start at. The limit lies a tenth under the score that all
+    but `share` of the held-out texts reach that are recognised, so texts of
+    the learnt languages stay.
     """
-    got = training_windows(docs, **sample)
-    ids = sorted({d for d, *_ in got})
-    held = set(ids[::5]) if len(ids) >= 10 else set()
-    net = fit_windows([r for r in got if r[0] not in held])
-    scores = []
-    for _, rows in groupby((r for r in got if r[0] in held), key=lambda r: r[0]):
-        rows = list(rows)
-        p = net.probabilities(np.frombuffer(b"".join(b for *_, b in rows), np.uint8).reshape(-1, LENGTH)).mean(axis=0)
-        if net.labels[int(p.argmax())] == rows[0][1]:
-            scores.append(float(p.max()))
-    return net, 0.9 * float(np.quantile(scores, share)) if scores else 0.0
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text").where("lang is not null and text is not null")
+    held = F.coalesce(F.pmod(F.xxhash64("doc_id"), F.lit(5)) == 0, F.lit(False)) & F.col("doc_id").isNotNull()
+    start = train(rows.where(~held), **sample)
+    if start is None:  # at most a few rows, all of one fold
+        return train(rows, **sample), 0.0
+    net = learn_all(start, rows.where(~held))
+
+    def many(some):
+        got = predict_texts(net, [t for _, t in some])
+        return [(score,) for (lang, _), (found, score) in zip(some, got, strict=True) if lang.decode() == found]
+
+    with scratch(docs.sparkSession):
+        scores = stage(map_groups(rows.where(held).select("lang", "text"), many, "score double", nbytes=1 << 20), "language-scores")
+        n = scores.count()
+        if not n:
+            return net, 0.0
+        at = share * (n - 1)
+        low = [r.score for r in scores.orderBy("score").limit(int(at) + 2).collect()]
+    first = low[int(at)]
+    return net, 0.9 * (first + (low[min(int(at) + 1, n - 1)] - first) * (at - int(at)))
 
 
 def language_id(docs: DataFrame, net: ByteCNN | None) -> DataFrame:

@@ -21,8 +21,8 @@ from treepack.llm.simhash import similar_dedup
 def keep_known_languages(docs: DataFrame) -> DataFrame:
     """Rejects texts that are null, have no letter, or are in no learnt language.
 
-    The network learns from a bounded sample of the labelled rows, and the score
-    under which a text is rejected comes from rows held out of it. If no row has
+    The network learns from all labelled rows but one fold, and the score under
+    which a text is rejected comes from all rows of that fold. If no row has
     a label, nothing can be rejected but texts without letters. Repeated rows
     stay.
     """
